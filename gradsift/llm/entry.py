@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from gradsift.llm import fertility, prefixcount, urlvocab, wumanber
+from gradsift.llm import fertility, prefixcount, ring, secretscan, urlvocab, wumanber
 from gradsift.llm.shared import read
 
 
@@ -22,8 +22,16 @@ def op4_prefix_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return prefixcount.token_counts(read(spark, sf_dir, "documents"), keep=["doc_id"])
 
 
+def op5_bounded_ring(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return ring.assign(read(spark, sf_dir, "documents"))
+
+
+def op6_secret_ownership(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return secretscan.scan(read(spark, sf_dir, "documents"))
+
+
 def op10_url_vocabulary(spark: SparkSession, sf_dir: str) -> DataFrame:
     return urlvocab.judge(read(spark, sf_dir, "pages"), keep=["page_id"])
 
 
-QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op1_token_fertility, op2_wu_manber, op4_prefix_token_counts, op10_url_vocabulary)}
+QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op1_token_fertility, op2_wu_manber, op4_prefix_token_counts, op5_bounded_ring, op6_secret_ownership, op10_url_vocabulary)}
