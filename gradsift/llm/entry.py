@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from gradsift.llm import fertility, prefixcount, ring, secretscan, superminhash, urlvocab, wumanber
+from gradsift.llm import fertility, phrases, prefixcount, ring, secretscan, superminhash, urlvocab, wumanber
 from gradsift.llm.shared import read
 
 
@@ -34,8 +34,12 @@ def op8_superminhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return superminhash.groups(read(spark, sf_dir, "documents"))
 
 
+def op9_repeated_phrases(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return phrases.cut_repeats(read(spark, sf_dir, "documents"), keep=["doc_id"])
+
+
 def op10_url_vocabulary(spark: SparkSession, sf_dir: str) -> DataFrame:
     return urlvocab.judge(read(spark, sf_dir, "pages"), keep=["page_id"])
 
 
-QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op1_token_fertility, op2_wu_manber, op4_prefix_token_counts, op5_bounded_ring, op6_secret_ownership, op8_superminhash, op10_url_vocabulary)}
+QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op1_token_fertility, op2_wu_manber, op4_prefix_token_counts, op5_bounded_ring, op6_secret_ownership, op8_superminhash, op9_repeated_phrases, op10_url_vocabulary)}
