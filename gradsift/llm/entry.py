@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from gradsift.llm import fertility, phrases, prefixcount, ring, secretscan, superminhash, urlvocab, wumanber
+from gradsift.llm import fertility, mixing, phrases, prefixcount, resample, ring, secretscan, superminhash, urlvocab, wumanber
 from gradsift.llm.shared import read
 
 
@@ -18,6 +18,10 @@ def op2_wu_manber(spark: SparkSession, sf_dir: str) -> DataFrame:
     return wumanber.search(read(spark, sf_dir, "documents"), read(spark, sf_dir, "benchmark"), keep=["doc_id"])
 
 
+def op3_importance_resampling(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return resample.resample(read(spark, sf_dir, "documents"), read(spark, sf_dir, "labels"))
+
+
 def op4_prefix_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return prefixcount.token_counts(read(spark, sf_dir, "documents"), keep=["doc_id"])
 
@@ -30,6 +34,10 @@ def op6_secret_ownership(spark: SparkSession, sf_dir: str) -> DataFrame:
     return secretscan.scan(read(spark, sf_dir, "documents"))
 
 
+def op7_soft_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return mixing.rates(read(spark, sf_dir, "documents"), read(spark, sf_dir, "labels"))
+
+
 def op8_superminhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return superminhash.groups(read(spark, sf_dir, "documents"))
 
@@ -42,4 +50,18 @@ def op10_url_vocabulary(spark: SparkSession, sf_dir: str) -> DataFrame:
     return urlvocab.judge(read(spark, sf_dir, "pages"), keep=["page_id"])
 
 
-QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op1_token_fertility, op2_wu_manber, op4_prefix_token_counts, op5_bounded_ring, op6_secret_ownership, op8_superminhash, op9_repeated_phrases, op10_url_vocabulary)}
+QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
+    f.__name__: f
+    for f in (
+        op1_token_fertility,
+        op2_wu_manber,
+        op3_importance_resampling,
+        op4_prefix_token_counts,
+        op5_bounded_ring,
+        op6_secret_ownership,
+        op7_soft_mixing,
+        op8_superminhash,
+        op9_repeated_phrases,
+        op10_url_vocabulary,
+    )
+}

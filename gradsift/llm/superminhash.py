@@ -231,3 +231,10 @@ def groups(docs: DataFrame, key: str = "doc_id", text: str = "text", link: int =
     name = lambda c: F.when(c != NULL_ID, c)
     comp = F.coalesce("root", "rep", "id")
     return placed.select(name(F.col("id")).alias(key), F.col("n_shingles"), name(comp).alias("component_id"), (F.col("id") == comp).alias("kept"))
+
+
+def one_of_each(docs: DataFrame, key: str = "doc_id", text: str = "text", link: int = LINK) -> DataFrame:
+    """The rows of docs whose document is kept, unchanged; of rows that share
+    an id, one."""
+    kept = groups(docs.select(key, text), key, text, link).where("kept").select(F.col(key).alias("_kept")).distinct()
+    return docs.join(kept, docs[key].cast("long").eqNullSafe(F.col("_kept")), "left_semi").dropDuplicates([key])

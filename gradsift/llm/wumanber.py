@@ -29,7 +29,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from gradsift.llm.textkit import ALNUM_WORDS, Measure, Words, annotate, words_of
+from gradsift.llm.textkit import ALNUM_WORDS, Measure, Words, annotate, select_rows, words_of
 
 WINDOW = 10
 BLOCK = 2
@@ -108,6 +108,19 @@ def search(docs: DataFrame, benchmark: DataFrame, text: str = "text", item: str
     return out.select(*[c for c in own if c not in added], "n_words", *[v.alias(k) for k, v in added.items()])
 
 
+def clean(docs: DataFrame, benchmark: DataFrame, text: str = "text", item: str = "item_id", item_text: str = "text", size: int = WINDOW) -> DataFrame:
+    """The rows of docs without a hit, unchanged."""
+    for share in shares_of(benchmark, item, item_text):
+        found = windows_of([(r["item"], r["text"]) for r in share.collect()], size)
+
+        def start(found=found):
+            measure = _measure(found, False)
+            return lambda part, data, offsets: [not h for h in measure(part, data, offsets)["_hit"]]
+
+        docs = select_rows(docs, text, start)
+    return docs
+
+
 def _measure(found: dict[tuple[bytes, ...], set[str]], more: bool) -> Measure:
     by_length: dict[int, list[tuple[bytes, ...]]] = defaultdict(list)
     for words in found:
