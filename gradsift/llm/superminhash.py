@@ -47,7 +47,11 @@ BANDS = 32
 ROWS = 4
 #: Link at 100 * intersection >= LINK * union.
 LINK = 85
-BLOCK = 192
+#: A comparison holds two parts of at most so many sets and bytes on average.
+PART_SETS = 512
+PART_BYTES = 16 << 20
+#: Sets up to which a shingle's pairs are counted one by one.
+FEW = 24
 
 NULL_ID = -(1 << 63)
 TOP = np.uint64((1 << 56) - 1)
@@ -155,25 +159,31 @@ def _verify(pairs: DataFrame, sets: DataFrame, link: int) -> DataFrame:
 
 
 def overlaps(sets: list[np.ndarray]) -> np.ndarray:
-    """Intersection sizes of all pairs of a block, as a matrix product over
-    slices of the shingles that more than one set has."""
+    """Intersection sizes of all pairs of a block. Shingles of few sets add
+    their pairs one by one, those of many are columns of a matrix product."""
     n = len(sets)
     values = np.concatenate(sets) if n else np.zeros(0, np.uint64)
     owner = np.repeat(np.arange(n), [len(s) for s in sets])
-    _, place, times = np.unique(values, return_inverse=True, return_counts=True)
-    shared = times[place] > 1
-    renamed = np.cumsum(times > 1) - 1
-    place, owner = renamed[place[shared]], owner[shared]
-    order = np.argsort(place, kind="stable")
-    place, owner = place[order], owner[order]
-    out = np.zeros((n, n), np.float32)
-    width, top = 8192, int(place[-1]) + 1 if len(place) else 0
-    for lo in range(0, top, width):
-        a, b = np.searchsorted(place, [lo, lo + width])
-        grid = np.zeros((n, min(width, top - lo)), np.float32)
-        grid[owner[a:b], place[a:b] - lo] = 1
-        out += grid @ grid.T
-    return out.astype(np.int64)
+    order = np.argsort(values, kind="stable")
+    values, owner = values[order], owner[order]
+    first = np.flatnonzero(np.concatenate([[True], values[1:] != values[:-1]])) if len(values) else np.zeros(0, np.int64)
+    times = np.diff(np.concatenate([first, [len(values)]]))
+    out = np.zeros(n * n, np.int64)
+    for size in range(2, FEW + 1):
+        at = first[times == size]
+        if len(at):
+            who = owner[at[:, None] + np.arange(size)]
+            out += np.bincount((who[:, :, None] * n + who[:, None, :]).reshape(-1), minlength=n * n)
+    out = out.reshape(n, n)
+    many = np.flatnonzero(times > FEW)
+    for lo in range(0, len(many), 4096):
+        part = many[lo : lo + 4096]
+        column = np.repeat(np.arange(len(part)), times[part])
+        place = np.arange(len(column)) - np.repeat(np.cumsum(times[part]) - times[part], times[part]) + np.repeat(first[part], times[part])
+        grid = np.zeros((n, len(part)), np.float32)
+        grid[owner[place], column] = 1
+        out += (grid @ grid.T).astype(np.int64)
+    return out
 
 
 def _compare_block(link: int):
@@ -210,11 +220,11 @@ def links(docs: DataFrame, key: str = "doc_id", text: str = "text", link: int =
 
     first = components(edges)
     placed = shared.join(first, F.col("rep") == F.col("vertex"), "left").select("band", F.col("rep").alias("id"), "n_shingles", F.coalesce("root", "rep").alias("comp"))
-    apart = placed.groupBy("band").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi"), F.count("*").alias("m"), F.sum(F.xxhash64("id").cast("decimal(38,0)")).alias("who")).where("lo < hi")
+    apart = placed.groupBy("band").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi"), F.count("*").alias("m"), F.sum("n_shingles").alias("s"), F.sum(F.xxhash64("id").cast("decimal(38,0)")).alias("who")).where("lo < hi")
     # keys with the same members need one look
-    apart = apart.groupBy("who", "m").agg(F.min("band").alias("band"))
-    rest = placed.join(apart.select("band", "m"), "band")
-    blocks = F.ceil(F.col("m") / F.lit(BLOCK // 2)).cast("int")
+    apart = apart.groupBy("who", "m", "s").agg(F.min("band").alias("band"))
+    rest = placed.join(apart.select("band", "m", "s"), "band")
+    blocks = F.greatest(F.ceil(F.col("m") / F.lit(PART_SETS)), F.ceil(F.col("s") / F.lit(PART_BYTES // 8))).cast("int")
     own = F.pmod(F.xxhash64("id"), blocks).cast("int")
     other = F.explode(F.sequence(F.lit(0), blocks - 1))
     rest = rest.select("*", own.alias("own"), other.alias("other"))
