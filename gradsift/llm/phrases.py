@@ -41,7 +41,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 from pyspark.sql.window import Window
 
-from gradsift.llm.textkit import BLANK_WORDS, Words, covered, mix, per_doc, text_bytes, words_of
+from gradsift.llm.textkit import BLANK_WORDS, Words, covered, mix, per_doc, text_bytes, words_in_parts
 
 WINDOW = 35
 PHRASE = 12
@@ -52,7 +52,7 @@ LETTERS = np.frombuffer(b"ABCDEFGHIJKLMNOPQRSTUVWXYZabcdef", np.uint8)
 
 def block_words(table: pa.Table) -> tuple[Words, np.ndarray]:
     data, offsets = text_bytes(table.column("text"))
-    return words_of(data, offsets, BLANK_WORDS), offsets
+    return words_in_parts(data, offsets, BLANK_WORDS), offsets
 
 
 def phrase_hashes(w: Words, window: int, phrase: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -156,15 +156,16 @@ def kept_text(w: Words, offsets: np.ndarray, removed: np.ndarray) -> tuple[bytes
     n = len(w.counts)
     keep = ~removed
     data = w.data.copy()
-    edge = np.zeros(len(data) + 1, np.int64)
-    np.add.at(edge, w.starts[keep], 1)
-    np.add.at(edge, w.ends[keep], -1)
-    mask = np.cumsum(edge[:-1]) > 0
+    edge = np.zeros(len(data) + 1, np.int8)
+    edge[w.starts[keep]] = 1
+    edge[w.ends[keep]] -= 1
+    mask = np.cumsum(edge[:-1], dtype=np.int8).view(bool)
     doc, ends = w.doc[keep], w.ends[keep]
     inner = ends[:-1][doc[:-1] == doc[1:]] if len(doc) else ends
     mask[inner] = True
     data[inner] = 0x20
-    total = np.concatenate([[0], np.cumsum(mask)])
+    total = np.zeros(len(data) + 1, np.int64)
+    np.cumsum(mask, out=total[1:])
     return data[mask].tobytes(), total[offsets] if n else np.zeros(1, np.int64)
 
 

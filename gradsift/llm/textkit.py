@@ -132,6 +132,22 @@ def words_of(data: np.ndarray, offsets: np.ndarray, is_word: np.ndarray, lower:
     return Words(data, starts, ends, doc, counts, first, hashes)
 
 
+def words_in_parts(data: np.ndarray, offsets: np.ndarray, is_word: np.ndarray, lower: bool = False, limit: int = 1 << 20) -> Words:
+    """words_of, but with the byte-wide scratch of a part of the texts only."""
+    offsets, n = offsets.astype(np.int64), len(offsets) - 1
+    parts, lo = [], 0
+    while lo < n:
+        hi = max(lo + 1, int(np.searchsorted(offsets, offsets[lo] + limit, "right")) - 1)
+        w = words_of(data[offsets[lo] : offsets[hi]], offsets[lo : hi + 1] - offsets[lo], is_word, lower)
+        parts.append((w.starts + offsets[lo], w.ends + offsets[lo], w.counts, w.hashes, w.data if lower else None))
+        lo = hi
+    if not parts:
+        return words_of(data, offsets, is_word, lower)
+    starts, ends, counts, hashes = (np.concatenate([p[i] for p in parts]) for i in range(4))
+    first = np.cumsum(counts) - counts
+    return Words(np.concatenate([p[4] for p in parts]) if lower else data, starts, ends, np.repeat(np.arange(n), counts), counts, first, hashes)
+
+
 def byte_ranges(data: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
     """Hash of any byte ranges of a chunk, such as lines."""
     return _ranges(_prefix(_BYTES[data], _BYTE_BASE), starts, ends, _BYTE_BASE, 5)
