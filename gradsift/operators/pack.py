@@ -56,7 +56,7 @@ def greedy_heap(costs: DataFrame, n_workers: int) -> DataFrame:
             heapq.heappush(heap, (load + cost, b))
         return pd.DataFrame({"bin": bins, "frag_id": part["frag_id"].to_numpy(), "cost": part["cost"].to_numpy(), "pack_order": range(len(bins))})
 
-    return costs.select("frag_id", "cost").groupBy(F.lit(0)).applyInPandas(run, "bin int, frag_id int, cost double, pack_order int")
+    return costs.select("frag_id", "cost").groupBy().applyInPandas(run, "bin int, frag_id int, cost double, pack_order int")
 
 
 def pack(costs: DataFrame, n_workers: int, policy: str = "greedy") -> DataFrame:

@@ -496,3 +496,34 @@ def moving_error(spark: SparkSession, sf_dir: str) -> DataFrame:
     got = train_metrics(spark, sf_dir, "fragmented")
     w = Window.orderBy("iteration")
     return got.select("iteration", F.round(F.col("error") - F.lag("error").over(w), 5).alias("change"), F.round(F.avg("error").over(w.rowsBetween(-1, 0)), 5).alias("smoothed"))
+
+
+# -- training of nets: no SQL, short runs ---------------------------------------------
+
+
+def _trained(experiment: str, iterations: int, *args) -> Query:
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        from gradsift.plans import experiments
+
+        rows = getattr(experiments, experiment)(spark, sf_dir, *args, iterations=iterations)
+        if experiment == "breakdown":
+            return rows.select("sparsifier", "phase", (F.col("ms") >= 0).alias("measured"))
+        got = experiments.summary(rows.where("metric not like 'ms_%'"), last=5)
+        return got.select("run", "sparsifier", "n", "density", "metric", *[F.round(c, 5).alias(c) for c in ("late_mean", "most", "least", "final")])
+
+    return run
+
+
+#: Experiment queries; gradsift.plans.experiments runs them at any length.
+TRAINED: dict[str, Query] = {
+    "experiment_langid": _trained("compare", 20, "langid"),
+    "experiment_charlm": _trained("compare", 3, "charlm"),
+    "experiment_recommend": _trained("compare", 5, "recommend"),
+    "experiment_vectors": _trained("compare", 20, "vectors"),
+    "experiment_equal_density": _trained("equal_density", 20, "langid"),
+    "experiment_density_sweep": _trained("density_sweep", 3, "charlm"),
+    "experiment_scale_sweep": _trained("scale_sweep", 10, "langid"),
+    "experiment_breakdown": _trained("breakdown", 2, "langid"),
+    "experiment_ablations": _trained("ablate", 20, "langid"),
+}
+QUERIES |= TRAINED
