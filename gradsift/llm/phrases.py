@@ -45,7 +45,7 @@ from gradsift.llm.textkit import BLANK_WORDS, Words, covered, mix, per_doc, text
 
 WINDOW = 35
 PHRASE = 12
-BLOCK_BYTES = 8 << 20
+BLOCK_BYTES = 6 << 20
 
 LETTERS = np.frombuffer(b"ABCDEFGHIJKLMNOPQRSTUVWXYZabcdef", np.uint8)
 

@@ -132,7 +132,7 @@ def words_of(data: np.ndarray, offsets: np.ndarray, is_word: np.ndarray, lower:
     return Words(data, starts, ends, doc, counts, first, hashes)
 
 
-def words_in_parts(data: np.ndarray, offsets: np.ndarray, is_word: np.ndarray, lower: bool = False, limit: int = 1 << 20) -> Words:
+def words_in_parts(data: np.ndarray, offsets: np.ndarray, is_word: np.ndarray, lower: bool = False, limit: int = 1 << 19) -> Words:
     """words_of, but with the byte-wide scratch of a part of the texts only."""
     offsets, n = offsets.astype(np.int64), len(offsets) - 1
     parts, lo = [], 0
