@@ -53,9 +53,9 @@ def tag(rows: DataFrame, fragments: DataFrame) -> DataFrame:
     at most 5 for each fragment on average, and a row looks up its stretch."""
     got = fragments.agg(F.sum("size").alias("n_g"), F.count("*").alias("n")).first()
     width = max(1, (got["n_g"] or 1) // (4 * max(1, got["n"])))
-    cell = lambda c: F.floor(c / F.lit(width))
+    cell = lambda c: c - F.pmod(c, F.lit(width))
     end = F.col("start") + F.col("size")
-    listed = fragments.select("frag_id", F.col("start").alias("_a"), end.alias("_b"), F.explode(F.sequence(cell(F.col("start")), cell(end - 1))).alias("_cell"))
+    listed = fragments.select("frag_id", F.col("start").alias("_a"), end.alias("_b"), F.explode(F.sequence(cell(F.col("start")), cell(end - 1), F.lit(width).cast("long"))).alias("_cell"))
     inside = (F.col("param_idx") >= F.col("_a")) & (F.col("param_idx") < F.col("_b"))
     return rows.withColumn("_cell", cell(F.col("param_idx"))).join(F.broadcast(listed), "_cell").where(inside).drop("_cell", "_a", "_b")
 

@@ -12,7 +12,7 @@ from __future__ import annotations
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 from pyspark.sql.window import Window
@@ -20,11 +20,25 @@ from pyspark.sql.window import Window
 BLOCK_WIDTH = 1 << 22
 
 
+#: Largest k for which the planner is asked to cut groups before a shuffle.
+MOST_LIMIT = 100_000
+
+
+def allow_group_limit(spark: SparkSession, k: int) -> None:
+    """Let the planner push rank <= k below the shuffle for this k."""
+    name = "spark.sql.optimizer.windowGroupLimitThreshold"
+    if int(spark.conf.get(name, "1000")) < k <= MOST_LIMIT:
+        spark.conf.set(name, str(k))
+
+
 def _ranked(rows: DataFrame, group: list[str], quota: str, most: int | None) -> DataFrame:
     order = Window.partitionBy(*group).orderBy(F.desc("_score"), "param_idx")
     out = rows.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= F.col(quota))
     # a literal bound lets the planner cut groups before the shuffle
-    return out.where(F.col("rank") <= most) if most else out
+    if not most:
+        return out
+    allow_group_limit(rows.sparkSession, most)
+    return out.where(F.col("rank") <= most)
 
 
 def topk_by_group(rows: DataFrame, group: list[str], score: Column, quota: str, kernel: str = "window", most: int | None = None) -> DataFrame:

@@ -46,10 +46,7 @@ _PICKS = ["worker", "param_idx", "v", "rank"]
 def _literal_topk(acc: DataFrame, group: str, k: int) -> DataFrame:
     """Top k of each group for one k: the bound is a literal, so the planner
     keeps only k rows of a group from every partition before the shuffle."""
-    spark = acc.sparkSession
-    name = "spark.sql.optimizer.windowGroupLimitThreshold"
-    if int(spark.conf.get(name, "1000")) < k <= 100_000:
-        spark.conf.set(name, str(k))
+    select.allow_group_limit(acc.sparkSession, k)
     order = Window.partitionBy(group).orderBy(F.desc(F.abs("v")), "param_idx")
     return acc.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k)
 
@@ -115,8 +112,10 @@ class Fragmented(Sparsifier):
 
     def select(self, acc: DataFrame, model: Model, t: int) -> Selection:
         quotas, bins, owner = self.plan(acc, model, t)
-        picks = select.layerwise(acc, quotas, owner, self.cfg.kernel)
-        return Selection(picks, quotas, bins, owner, disjoint=True, at_most=2 * self.cfg.resolve_k(model.n_g))
+        k = self.cfg.resolve_k(model.n_g)
+        # no quota exceeds k or the minimum, which bounds every group
+        picks = select.layerwise(acc, quotas, owner, self.cfg.kernel, max(k, self.cfg.min_quota))
+        return Selection(picks, quotas, bins, owner, disjoint=True, at_most=2 * k)
 
 
 class EqualSlices(Sparsifier):
