@@ -59,11 +59,12 @@ def examples(docs: DataFrame, labels: DataFrame, key: str, text: str, label: Col
                 _, feature, doc = features(data, offsets)
                 order = np.argsort(doc, kind="stable")
                 ends = np.searchsorted(doc[order], np.arange(len(offsets)))
-                lists = pa.ListArray.from_arrays(pa.array(ends, pa.int32()), pa.array(feature[order], pa.int32()))
+                raw = feature[order].astype(np.int32)
+                lists = pa.array([raw[a:b].tobytes() for a, b in zip(ends[:-1].tolist(), ends[1:].tolist(), strict=True)], pa.binary())
                 yield pa.RecordBatch.from_arrays([part.column("id"), part.column("label"), lists], names=["id", "label", "f"])
 
-    rows = chosen.select("id", "label", "text").mapInArrow(run, "id long, label int, f array<int>").orderBy("id").collect()
-    return [np.array(r["f"], np.int64) for r in rows], np.array([r["label"] for r in rows], np.int64)
+    rows = chosen.select("id", "label", "text").mapInArrow(run, "id long, label int, f binary").orderBy("id").collect()
+    return [np.frombuffer(r["f"], np.int32) for r in rows], np.array([r["label"] for r in rows], np.int64)
 
 
 def fit(found: list[np.ndarray], label: np.ndarray, kinds: int, steps: int = 200, rate: float = 0.05, ridge: float = 2e-4) -> tuple[np.ndarray, np.ndarray]:
@@ -79,17 +80,20 @@ def fit(found: list[np.ndarray], label: np.ndarray, kinds: int, steps: int = 200
     doc = np.repeat(np.arange(len(found)), [len(f) for f in found])
     ok = rename[flat] >= 0
     col, doc = rename[flat][ok], doc[ok]
-    grid = np.zeros((len(found), len(used)), np.float32)
-    grid[doc, col] = 1
-    truth = np.eye(kinds, dtype=np.float32)[label]
-    w, b = np.zeros((len(used), kinds), np.float32), np.log(truth.mean(axis=0) + 1e-3).astype(np.float32)
+    del flat, ok
+    n = len(found)
+    truth = np.eye(kinds)[label]
+    w, b = np.zeros((len(used), kinds)), np.log(truth.mean(axis=0) + 1e-3)
     moments = [np.zeros_like(w), np.zeros_like(w), np.zeros_like(b), np.zeros_like(b)]
     for t in range(1, steps + 1):
-        p = grid @ w + b
-        p = np.exp(p - p.max(axis=1, keepdims=True))
+        # features are 0 or 1, so both products are sums over (text, feature) pairs
+        z = np.stack([np.bincount(doc, weights=w[col, c], minlength=n) for c in range(kinds)], axis=1) + b
+        p = np.exp(z - z.max(axis=1, keepdims=True))
         p /= p.sum(axis=1, keepdims=True)
-        error = (p - truth) / len(found)
-        for i, (g, x) in enumerate(((grid.T @ error + ridge * w, w), (error.sum(axis=0), b))):
+        error = (p - truth) / n
+        gw = np.stack([np.bincount(col, weights=error[doc, c], minlength=len(used)) for c in range(kinds)], axis=1) + ridge * w
+        gb = error.sum(axis=0)
+        for i, (g, x) in enumerate(((gw, w), (gb, b))):
             m, v = moments[2 * i], moments[2 * i + 1]
             m += 0.1 * (g - m)
             v += 0.001 * (g * g - v)
