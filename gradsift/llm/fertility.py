@@ -32,7 +32,7 @@ from pyspark.sql import types as T
 from gradsift.llm.textkit import BLANK_WORDS, CHUNK_BYTES, Words, annotate, byte_ranges, covered, mix, per_doc, per_process, select_rows, words_of
 
 VOCABULARY = "piece_bpe_32k.model"
-MOST_WORDS = 600_000
+MOST_WORDS = 250_000
 
 
 @dataclass(frozen=True)

@@ -137,11 +137,11 @@ def full_sets(docs: DataFrame) -> DataFrame:
     return annotate(docs, "text", T.StructType([T.StructField("set", T.BinaryType())]), lambda: measure, ["id"])
 
 
-def linked(a: bytes, b: bytes, link: int) -> bool:
-    n, m = len(a) // 8, len(b) // 8
+def linked(a: np.ndarray, b: np.ndarray, link: int) -> bool:
+    n, m = len(a), len(b)
     if 100 * min(n, m) < link * max(n, m):
         return False
-    both = len(np.intersect1d(np.frombuffer(a, np.uint64), np.frombuffer(b, np.uint64), assume_unique=True))
+    both = len(np.intersect1d(a, b, assume_unique=True))
     return 100 * both >= link * (n + m - both)
 
 
@@ -150,7 +150,8 @@ def _verify(pairs: DataFrame, sets: DataFrame, link: int) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            good = [linked(a, b, link) for a, b in zip(batch.column("a").to_pylist(), batch.column("b").to_pylist(), strict=True)]
+            view = lambda x: np.frombuffer(x.as_buffer(), np.uint64)
+            good = [linked(view(a), view(b), link) for a, b in zip(batch.column("a"), batch.column("b"), strict=True)]
             yield pa.RecordBatch.from_arrays([batch.column("u").filter(pa.array(good, pa.bool_())), batch.column("v").filter(pa.array(good, pa.bool_()))], names=["u", "v"])
 
     with_a = pairs.join(sets.select(F.col("id").alias("u"), F.col("set").alias("a")), "u")
