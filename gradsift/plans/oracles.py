@@ -309,6 +309,18 @@ ORACLE: dict[str, str] = {
     "flagship": with_(*upto("picks"), _worker_costs(N))
     + "SELECT CAST(w.worker AS INTEGER) AS worker, fragments, coalesce(picked, 0) AS picked, round(cost, 3) AS cost, round(coalesce(picked, 0) / n_g, 9) AS density FROM wc w LEFT JOIN (SELECT worker, count(*) AS picked FROM pk GROUP BY worker) p ON p.worker = w.worker, tot",
 }
+LED = [*upto("tagged"), f"lp AS ({top('gr', 'worker', K)})"]
+ORACLE["staleness_cyclic"] = with_(*LED) + f"SELECT round(avg({N} - last), 6) AS mean, CAST(max({N} - last) AS BIGINT) AS most, (SELECT n_g FROM tot) - count(*) AS never FROM (SELECT param_idx, max(worker) AS last FROM lp GROUP BY param_idx)"
+ORACLE["layer_share_cyclic"] = (
+    with_(*LED) + "SELECT worker AS iteration, layer_id, count(*) AS picks, round(count(*) / sum(count(*)) OVER (PARTITION BY worker), 6) AS share FROM lp JOIN tg USING (worker, param_idx) JOIN fr USING (frag_id) GROUP BY worker, layer_id"
+)
+_TURNS = [s for t in range(N) for s in (f"qt_{t} AS (SELECT * FROM qt)", f"tg_{t} AS (SELECT * FROM tg)", packed(N, t, f"_{t}"), owner(N, t, f"_{t}"), picks(f"_{t}"))]
+ORACLE["density_summary_rotation"] = (
+    with_(*upto("quotas"), *_TURNS)
+    + "SELECT round(avg(d), 9) AS mean, round(stddev_samp(d), 9) AS sd, round(min(d), 9) AS least, round(max(d), 9) AS most FROM ("
+    + " UNION ALL ".join(f"SELECT count(*) / (SELECT n_g FROM tot) AS d FROM pk_{t}" for t in range(N))
+    + ")"
+)
 for _kernel in ("two_phase", "threshold", "arrow"):
     ORACLE[f"picks_fragmented_{_kernel}"] = ORACLE["picks_fragmented"]
 for _name in ("fragmented", "global_topk", "cyclic_topk", "dense"):

@@ -404,6 +404,40 @@ def metrics_cube(spark: SparkSession, sf_dir: str) -> DataFrame:
     return named.cube("worker", "layer_id").agg(F.count("*").alias("picks"), F.sum(F.abs("v")).alias("mass"))
 
 
+def _led_in_turn(spark: SparkSession, sf_dir: str) -> tuple[Additive0, DataFrame]:
+    """Picks of N iterations of the cyclic leader over one accumulator: in
+    iteration t worker t picks, so the iteration is the worker."""
+    s = Additive0(spark, sf_dir)
+    picks = SPARSIFIERS["global_topk"](s.cfg).select(s.acc, s.model, 0).picks
+    return s, picks.withColumn("iteration", F.col("worker"))
+
+
+@query
+def staleness_cyclic(spark: SparkSession, sf_dir: str) -> DataFrame:
+    s, picks = _led_in_turn(spark, sf_dir)
+    got = measures.staleness(picks, s.model.n_g, N)
+    return got.select(F.round("mean", 6).alias("mean"), F.col("most").cast("long").alias("most"), "never")
+
+
+@query
+def layer_share_cyclic(spark: SparkSession, sf_dir: str) -> DataFrame:
+    s, picks = _led_in_turn(spark, sf_dir)
+    got = measures.layer_share(fragment.tag(picks, s.model.fragments), s.model.fragments)
+    return got.withColumn("share", F.round("share", 6))
+
+
+@query
+def density_summary_rotation(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Actual density of the fragmented scheme while leader and bins rotate."""
+    s = Additive0(spark, sf_dir)
+    each = None
+    for t in range(N):
+        rows = measures.actual_density(Fragmented(s.cfg).select(s.acc, s.model, t).picks, s.model.n_g)
+        each = rows if each is None else each.unionByName(rows)
+    got = measures.density_summary(each)
+    return got.select(*[F.round(c, 9).alias(c) for c in got.columns])
+
+
 @query
 def hr_at_10_popularity(spark: SparkSession, sf_dir: str) -> DataFrame:
     from gradsift.workloads.base_rates import popularity_hits
