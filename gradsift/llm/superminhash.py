@@ -8,7 +8,8 @@ sets after the first step. Here the j-th step is taken for all elements of a
 chunk at once; the permutation is unrolled from the swaps alone.
 
     sets    one scan: set size, 128-bit set fingerprint, band keys
-    classes equal sets become one class, with its smallest id for a name
+    classes equal sets become one class, a vertex with a number of its own;
+            its smallest id is only its name
     pairs   classes that share a band key are paired with the smallest
             class there, one pair a member and key, never all with all
     verify  pairs are confirmed on the full sets, then united
@@ -22,9 +23,10 @@ With 32 bands of 4 places a pair at the threshold of 0.85 shares no band key
 with probability (1 - 0.85**4)**32 < 1e-10.
 
 Defined results: null and wordless texts have an empty set and are alone;
-texts shorter than a shingle have their words as the only one; rows that
-share an id count as one document, a null id as one of its own; equal rows
-fall into one class.
+texts shorter than a shingle have their words as the only one. An id may be
+null or repeated: rows are grouped by their texts alone, null is the smallest
+id, and groups whose smallest ids are equal share that name but stay apart.
+A row is found again by its id and a 64-bit hash of its text.
 """
 
 from __future__ import annotations
@@ -34,7 +36,7 @@ from collections.abc import Iterator
 import numpy as np
 import pandas as pd
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
@@ -123,7 +125,12 @@ def sets_of(docs: DataFrame, key: str, text: str, bands: int = BANDS, rows: int
         lists = pa.ListArray.from_arrays(pa.array(ends), pa.array(keys[sizes > 0].reshape(-1)))
         return {"n_shingles": sizes, "f1": _sums(h, first, 21), "f2": _sums(h, first, 22), "bands": lists}
 
-    return annotate(docs.select(F.coalesce(F.col(key).cast("long"), F.lit(NULL_ID)).alias("id"), F.col(text).alias("text")), "text", FOUND, lambda: measure, ["id"])
+    return annotate(docs.select(*_named(key, text), F.col(text).alias("text")), "text", FOUND, lambda: measure, ["id", "hash"])
+
+
+def _named(key: str, text: str) -> list[Column]:
+    """id and hash, by which a row is found again."""
+    return [F.coalesce(F.col(key).cast("long"), F.lit(NULL_ID)).alias("id"), F.xxhash64(text).alias("hash")]
 
 
 def full_sets(docs: DataFrame) -> DataFrame:
@@ -189,7 +196,7 @@ def overlaps(sets: list[np.ndarray]) -> np.ndarray:
 
 def _compare_block(link: int):
     def run(part: pd.DataFrame) -> pd.DataFrame:
-        part = part.drop_duplicates("id").sort_values("id")
+        part = part.sort_values("id")
         ids, comp = part["id"].to_numpy(), part["comp"].to_numpy()
         sets = [np.frombuffer(s, np.uint64) for s in part["set"]]
         size = np.array([len(s) for s in sets])
@@ -202,20 +209,23 @@ def _compare_block(link: int):
     return run
 
 
-def links(docs: DataFrame, key: str = "doc_id", text: str = "text", link: int = LINK, bands: int = BANDS, rows: int = ROWS) -> tuple[DataFrame, DataFrame]:
-    """(members, roots): members has id, n_shingles and rep, the class, of
-    every row of docs; roots has vertex and root of every linked class."""
+def links(docs: DataFrame, key: str = "doc_id", text: str = "text", link: int = LINK, bands: int = BANDS, rows: int = ROWS) -> tuple[DataFrame, DataFrame, DataFrame]:
+    """(found, classes, roots): found has id, hash, n_shingles and the set's
+    fingerprint of every row of docs; classes has the fingerprint, rep, the
+    vertex, and id and hash of the first row of every class; roots has vertex
+    and root of every linked class."""
     found = written(sets_of(docs, key, text, bands, rows), "sets")
     full = found.where("n_shingles > 0")
-    classes = full.groupBy("f1", "f2", "n_shingles").agg(F.min("id").alias("rep"), F.min_by("bands", "id").alias("bands"))
-    classes = written(classes, "classes")
+    classes = full.groupBy("f1", "f2", "n_shingles").agg(F.min(F.struct("id", "hash")).alias("least"), F.min_by("bands", "id").alias("bands"))
+    classes = written(classes.select("f1", "f2", "n_shingles", "least.*", "bands", F.monotonically_increasing_id().alias("rep")), "classes")
     keys = classes.select("rep", "n_shingles", F.explode("bands").alias("band"))
     least = keys.groupBy("band").agg(F.min("rep").alias("low"), F.max("rep").alias("high")).where("low < high").select("band", "low")
     shared = written(keys.join(least, "band"), "buckets")
 
     wanted = shared.select(F.explode(F.array("rep", "low")).alias("id")).distinct()
-    texts = docs.select(F.coalesce(F.col(key).cast("long"), F.lit(NULL_ID)).alias("id"), F.col(text).alias("text"))
-    sets = written(full_sets(texts.join(wanted, "id", "left_semi")), "full-sets")
+    wanted = wanted.join(classes.select(F.col("rep").alias("vertex"), F.col("id").alias("row"), "hash"), F.col("id") == F.col("vertex")).select("vertex", F.col("row").alias("id"), "hash")
+    texts = docs.select(*_named(key, text), F.col(text).alias("text")).join(wanted, ["id", "hash"]).select(F.col("vertex").alias("id"), "text")
+    sets = written(full_sets(texts.dropDuplicates(["id"])), "full-sets")
     pairs = shared.where("rep <> low").select(F.col("rep").alias("u"), F.col("low").alias("v")).distinct()
     edges = written(_verify(pairs, sets, link), "links")
 
@@ -231,21 +241,36 @@ def links(docs: DataFrame, key: str = "doc_id", text: str = "text", link: int =
     rest = rest.select("*", own.alias("own"), other.alias("other"))
     rest = rest.select("band", "id", "comp", F.least("own", "other").alias("x"), F.greatest("own", "other").alias("y")).join(sets, "id")
     more = rest.groupBy("band", "x", "y").applyInPandas(_compare_block(link), "u long, v long")
-    return found.select("id", "n_shingles", "f1", "f2").join(classes.select("f1", "f2", F.col("n_shingles").alias("n"), "rep"), ["f1", "f2"], "left").select("id", "n_shingles", "rep"), components(first.select(F.col("vertex").alias("u"), F.col("root").alias("v")).unionByName(more))
+    return found, classes, components(first.select(F.col("vertex").alias("u"), F.col("root").alias("v")).unionByName(more))
+
+
+def _placed(docs: DataFrame, key: str, text: str, link: int) -> tuple[DataFrame, DataFrame]:
+    """(found, placed): placed has the fingerprint of every class, and id and
+    hash of the first row of its component."""
+    found, classes, roots = links(docs, key, text, link)
+    rooted = written(classes.drop("bands").join(roots, F.col("rep") == F.col("vertex"), "left").select("f1", "f2", "n_shingles", "id", "hash", F.coalesce("root", "rep").alias("root")), "rooted")
+    names = written(rooted.groupBy("root").agg(F.min(F.struct("id", "hash")).alias("least")).select("root", F.col("least.id").alias("comp"), F.col("least.hash").alias("comp_hash")), "names")
+    return found, rooted.drop("id", "hash").join(names, "root").drop("root")
 
 
 def groups(docs: DataFrame, key: str = "doc_id", text: str = "text", link: int = LINK) -> DataFrame:
     """Set size, component and whether it is kept (the smallest id of its
     component), for every row of docs."""
-    members, roots = links(docs, key, text, link)
-    placed = members.join(roots, F.col("rep") == F.col("vertex"), "left")
+    found, placed = _placed(docs, key, text, link)
     name = lambda c: F.when(c != NULL_ID, c)
-    comp = F.coalesce("root", "rep", "id")
-    return placed.select(name(F.col("id")).alias(key), F.col("n_shingles"), name(comp).alias("component_id"), (F.col("id") == comp).alias("kept"))
+    comp = F.coalesce("comp", "id")
+    rows = found.select("id", "n_shingles", "f1", "f2").join(placed, ["f1", "f2", "n_shingles"], "left")
+    return rows.select(name(F.col("id")).alias(key), F.col("n_shingles"), name(comp).alias("component_id"), (F.col("id") == comp).alias("kept"))
 
 
 def one_of_each(docs: DataFrame, key: str = "doc_id", text: str = "text", link: int = LINK) -> DataFrame:
-    """The rows of docs whose document is kept, unchanged; of rows that share
-    an id, one."""
-    kept = groups(docs.select(key, text), key, text, link).where("kept").select(F.col(key).alias("_kept")).distinct()
-    return docs.join(kept, docs[key].cast("long").eqNullSafe(F.col("_kept")), "left_semi").dropDuplicates([key])
+    """One row of docs for each component, unchanged, and every row without
+    words."""
+    found, placed = _placed(docs.select(key, text), key, text, link)
+    first = placed.select(F.col("comp").alias("_id"), F.col("comp_hash").alias("_hash"), F.lit(False).alias("_alone"))
+    alone = found.where("n_shingles = 0").select(F.col("id").alias("_id"), F.col("hash").alias("_hash"), F.lit(True).alias("_alone"))
+    chosen = first.unionByName(alone).distinct()
+    own = [c.alias(f"_{n}") for c, n in zip(_named(key, text), ("id", "hash"), strict=True)]
+    # rows of one id and text are told apart only where all of them stay
+    rows = docs.select("*", *own).join(chosen, ["_id", "_hash"]).withColumn("_row", F.when(F.col("_alone"), F.monotonically_increasing_id()))
+    return rows.dropDuplicates(["_id", "_hash", "_row"]).select(*docs.columns)

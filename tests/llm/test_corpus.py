@@ -185,6 +185,19 @@ def test_groups_of_null_and_repeated_ids(spark):
     assert superminhash.groups(docs.where("false")).count() == 0
 
 
+def test_different_texts_of_null_and_repeated_ids_stay(spark):
+    rng = random.Random(5)
+    (a, near_a), (b, near_b) = ([" ".join(w), " ".join([*w[:-1], "z"])] for w in ([f"{k}{rng.randrange(5000)}" for _ in range(80)] for k in "ab"))
+    others = [" ".join(f"o{i}_{j}" for j in range(20)) for i in range(6)]
+    rows = [(1, a), (2, b), (None, near_a), (None, near_b), (None, others[0]), (None, others[1]), (None, others[1]), (7, others[2]), (7, others[3]), (7, others[3]), (8, others[4]), (7, others[4]), (9, ""), (9, "")]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    got = sorted(map(tuple, superminhash.one_of_each(docs).collect()), key=str)
+    want = [(None, near_a), (None, near_b), (None, others[0]), (None, others[1]), (7, others[2]), (7, others[3]), (7, others[4]), (9, ""), (9, "")]
+    assert got == sorted(want, key=str)
+    by = {(r.doc_id, r.n_shingles): r for r in superminhash.groups(docs.where("doc_id < 3 or doc_id is null")).collect()}
+    assert not by[1, 76].kept and by[1, 76].component_id is None and by[None, 16].kept
+
+
 def test_superminhash_estimates_with_lower_variance_than_plain():
     import numpy as np
 
