@@ -227,3 +227,12 @@ def test_queries_run_on_whole_tables(spark, sf):
     n = spark.read.parquet(f"{sf}/documents.parquet").count()
     for name in ("op1_token_fertility", "op2_wu_manber", "op4_prefix_token_counts"):
         assert entry.QUERIES[name](spark, sf).count() == n
+
+
+def test_bands_part_labelled_documents(spark):
+    docs = spark.read.parquet("/root/testdata/sf0.1/documents.parquet")
+    labels = spark.read.parquet("/root/testdata/sf0.1/labels.parquet").where("toxic = 0")
+    got = fertility.score(docs.join(labels, "doc_id"), keep=["quality"]).where("not base_failed").groupBy("quality").agg({"*": "count", "n_tokens": "count"})
+    n = {r["quality"]: r["count(1)"] for r in got.collect()}
+    kept = {r["quality"]: r["count"] for r in fertility.score(docs.join(labels, "doc_id"), keep=["quality"]).where("kept").groupBy("quality").count().collect()}
+    assert kept[1] >= 0.985 * n[1] and kept[0] <= 0.25 * n[0]
