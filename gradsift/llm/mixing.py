@@ -14,9 +14,13 @@ the totals S_k, one aggregate over a table of a few numbers per document. A
 document's rate is a fold over the history of g, so rates are never stored
 between steps, and a lost executor costs a recomputation only.
 
-Drawing: a rate of 1 or more is always kept; below 1, a document is kept if a
-hash of its id falls below the rate. copies is the rate rounded up or down by
-the same hash.
+copies is the rate rounded up or down by a hash of the id. A filter cannot
+draw a document twice, so rows are kept by shares in [0, 1] instead: the same
+problem with T scaled by the largest size at which it can be met, so that the
+kept rows have the target weights. It is solved on the driver over the token
+sums of the cells of a grid of posteriors, whose number is bounded. A document
+is kept if the hash falls below its share. Where no size meets the targets,
+the shares are the least squares at full size.
 
 Defined results: null and empty texts have no tokens, carry the prior as
 posterior and get the rate that it implies; null ids hash as null; without
@@ -25,6 +29,8 @@ labelled rows all posteriors are uniform; repeated rows get equal rates.
 
 from __future__ import annotations
 
+import json
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
@@ -40,6 +46,12 @@ DOMAINS = ("clean", "low", "toxic")
 TARGETS = (0.97, 0.02, 0.01)
 STEPS = 24
 ENOUGH = 1e-6
+#: Cells of the grid on each axis, steps and halvings of the bounded problem,
+#: and the part of the total by which its domains may miss.
+GRID = 200
+BOUNDED_STEPS = 60
+HALVINGS = 14
+MISS = 1e-4
 
 
 def domain_of() -> Column:
@@ -90,6 +102,49 @@ def solve(rows: DataFrame, targets: tuple[float, ...] = TARGETS, steps: int = ST
     return history
 
 
+def share_of(p: np.ndarray, history: list[list[float]]) -> np.ndarray:
+    """The share in [0, 1] of every row of posteriors."""
+    share = np.ones(len(p))
+    for g in history:
+        share = np.clip(share - p @ np.array(g), 0.0, 1.0)
+    return np.round(share, 9)
+
+
+def bounded(rows: DataFrame, targets: tuple[float, ...] = TARGETS) -> list[list[float]]:
+    """The steps g that the shares follow from."""
+    names = [f"p_{d}" for d in DOMAINS]
+    cell = [F.floor(F.col(c) * GRID).alias(f"c{i}") for i, c in enumerate(names[1:])]
+    sums = [F.sum(F.col("n_tokens") * F.col(c)).alias(c) for c in names]
+    cells = rows.where("n_tokens > 0").groupBy(*cell).agg(F.sum("n_tokens").alias("n"), *sums).orderBy("c0", "c1").collect()
+    if not cells:
+        return []
+    n = np.array([r["n"] for r in cells], float)
+    p = np.array([[r[c] for c in names] for r in cells]) / n[:, None]
+    mass, aim = n @ p, np.array(targets) / sum(targets) * n.sum()
+
+    def attempt(size: float) -> tuple[bool, list[list[float]]]:
+        share, history = np.ones(len(p)), []
+        for _ in range(BOUNDED_STEPS):
+            off = (n * share) @ p - size * aim
+            if np.abs(off).max() <= MISS * size * n.sum():
+                return True, history
+            history.append([round(float(v), 12) for v in off / np.maximum(mass, 1e-9 * mass.sum())])
+            share = np.clip(share - p @ np.array(history[-1]), 0.0, 1.0)
+        return False, history
+
+    most = min(1.0, float((mass / np.maximum(aim, 1e-300)).min()))
+    met, best = attempt(most)
+    low, high = 0.0, most
+    for _ in range(0 if met else HALVINGS):
+        size = (low + high) / 2
+        good, history = attempt(size)
+        if good:
+            met, best, low = True, history, size
+        else:
+            high = size
+    return best if met else attempt(1.0)[1]
+
+
 def draw(key: Column, seed: str = "mix") -> Column:
     """A number in [0, 1) from a hash of the id."""
     return F.pmod(F.xxhash64(F.lit(seed), key), F.lit(1 << 53)) / F.lit(float(1 << 53))
@@ -99,15 +154,18 @@ def rates(docs: DataFrame, labels: DataFrame, key: str = "doc_id", text: str = "
     """Posteriors, rate, kept and copies of every row of docs."""
     rows = written(membership(docs, _model(docs, labels, key, text), key, text), "membership")
     rate = rate_of(solve(rows, targets))
-    out = rows.withColumn("rate", F.round(rate, 9)).withColumn("u", draw(F.col("id")))
-    return out.select(F.col("id").alias(key), "n_tokens", *[f"p_{d}" for d in DOMAINS], "rate", (F.col("u") < F.col("rate")).alias("kept"), (F.floor("rate") + (F.col("u") < F.col("rate") - F.floor("rate")).cast("long")).alias("copies"))
+    steps = F.from_json(F.lit(json.dumps(bounded(rows, targets))), "array<array<double>>")
+    less = lambda g: sum(F.col(f"p_{d}") * F.get(g, F.lit(i)) for i, d in enumerate(DOMAINS))
+    share = F.aggregate(steps, F.lit(1.0), lambda r, g: F.least(F.lit(1.0), F.greatest(F.lit(0.0), r - less(g))))
+    out = rows.withColumn("share", F.round(share, 9)).withColumn("rate", F.round(rate, 9)).withColumn("u", draw(F.col("id")))
+    return out.select(F.col("id").alias(key), "n_tokens", *[f"p_{d}" for d in DOMAINS], "rate", (F.col("u") < F.col("share")).alias("kept"), (F.floor("rate") + (F.col("u") < F.col("rate") - F.floor("rate")).cast("long")).alias("copies"))
 
 
 def mixed(docs: DataFrame, labels: DataFrame, key: str = "doc_id", text: str = "text", targets: tuple[float, ...] = TARGETS) -> DataFrame:
-    """The rows of docs that the rates keep, unchanged: the classifier scores
+    """The rows of docs that the shares keep, unchanged: the classifier scores
     them again beside their texts, so that no text is shuffled."""
     model = _model(docs, labels, key, text)
-    history = solve(written(membership(docs, model, key, text), "membership"), targets)
+    history = bounded(written(membership(docs, model, key, text), "membership"), targets)
     names = docs.columns
     u = next(n for n in ("u", "u_", "u__", "u___") if n not in names)
 
@@ -115,10 +173,7 @@ def mixed(docs: DataFrame, labels: DataFrame, key: str = "doc_id", text: str = "
         def decide(part: pa.RecordBatch, data: np.ndarray, offsets: np.ndarray) -> np.ndarray:
             w, feature, doc = domains.features(data, offsets)
             p = np.round(domains.posteriors(feature, doc, len(w.counts), *model), 9)
-            rate = np.ones(len(p))
-            for g in history:
-                rate = np.maximum(0.0, rate - p @ np.array(g))
-            return part.column(part.schema.get_field_index(u)).to_numpy(zero_copy_only=False) < np.round(rate, 9)
+            return part.column(part.schema.get_field_index(u)).to_numpy(zero_copy_only=False) < share_of(p, history)
 
         return decide
 
