@@ -241,6 +241,17 @@ def test_components(spark):
     assert got == root
 
 
+def test_pipeline_takes_copies_from_four_fifths(spark):
+    import corpus_pipeline
+
+    w = [f"w{i}" for i in range(204)]
+    near = [*w[:100], "x0", *w[101:108], "x1", *w[109:116], "x2", *w[117:124], "x3", *w[125:]]
+    a, b = shingles(" ".join(w)), shingles(" ".join(near))
+    assert 80 * len(a | b) <= 100 * len(a & b) < 85 * len(a | b)
+    docs = table(spark, [" ".join(w), " ".join(near)])
+    assert [r.doc_id for r in corpus_pipeline.near_duplicates(spark, docs, "").collect()] == [0]
+
+
 # -- phrases ----------------------------------------------------------------------
 
 
