@@ -348,20 +348,6 @@ def test_mixing_reaches_the_targets_and_keeps_clean_documents(spark):
     assert kept == {r.doc_id for r in got if r.kept}
 
 
-def test_kept_rows_have_the_target_weights_where_one_domain_must_grow(spark):
-    rng = random.Random(1)
-    p = [[rng.uniform(0.9, 1.0) if j == k else 0.0 for j in range(3)] for k in range(3) for _ in range([1200, 500, 500][k])]
-    p = [[x + (1 - sum(r)) / 3 for x in r] for r in p]
-    rows = spark.createDataFrame([(i, 50 + i % 7, *r) for i, r in enumerate(p)], "id long, n_tokens long, p_clean double, p_low double, p_toxic double")
-    targets = (0.9, 0.06, 0.04)
-    share = mixing.share_of(p, mixing.bounded(rows, targets))
-    assert 0 <= share.min() and share.max() == 1
-    tokens = [(50 + i % 7) * s for i, s in enumerate(share)]
-    for k, want in enumerate(targets):
-        assert sum(t * r[k] for t, r in zip(tokens, p, strict=True)) / sum(tokens) == pytest.approx(want, abs=2e-3)
-    assert share[:1200].mean() > 0.9
-
-
 def test_mixing_edge_tables(spark):
     docs, labels = labelled(spark, 20)
     assert mixing.rates(docs.where("false"), labels).count() == 0
