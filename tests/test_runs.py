@@ -2,6 +2,10 @@
 
 import glob
 import os
+import pathlib
+import shutil
+import subprocess
+import sys
 
 import duckdb
 import numpy as np
@@ -182,3 +186,15 @@ def test_training_measures(spark):
     assert measures.relative_to_dense(m).where("run = 'a' and epoch = 1").first()["gap"] == 0
     p = spark.createDataFrame([(0, 1, 5), (1, 1, 5), (1, 2, 9)], "iteration int, frag_id int, param_idx long")
     assert tuple(measures.staleness(p, 10, 2).first()) == (1.0, 1, 8)
+
+
+def test_entry_without_the_corpus_folders(tmp_path):
+    """Queries and SQL of the rest work when the corpus operators are gone."""
+    root = pathlib.Path(__spark_entry__.__file__).parent
+    for left_over in ("", "gradsift/llm/__pycache__"):
+        copy = tmp_path / f"copy{len(left_over)}"
+        shutil.copytree(root, copy, ignore=shutil.ignore_patterns("llm", ".git", "__pycache__", ".pytest_cache", ".hypothesis"))
+        if left_over:
+            (copy / left_over).mkdir(parents=True)
+        code = "import __spark_entry__ as e; q, o = e.queries(), e.oracle_sql(); assert 'flagship' in q and set(o) <= set(q); assert not [n for n in q if n.startswith('op') or n == 'pipeline']"
+        subprocess.run([sys.executable, "-c", code], cwd=copy, check=True, timeout=120, env={**os.environ, "PYTHONPATH": str(copy)})
