@@ -5,33 +5,42 @@ Two windows that are equal hold equal phrases, so it is enough to look where
 phrases of PHRASE words repeat, and of these only at the smallest hash of each
 window (winnowing), which equal windows have in common.
 
-Texts are dealt into blocks of about BLOCK_BYTES by a hash of the row, once;
-all steps read that one exchange:
-
-    phrases  each block's smallest phrase hashes, once a block with the
-             number of their places; summed over blocks, the repeated ones
-             go back to the blocks that hold them
-    locate   each block compiles its repeated phrases into an Aho-Corasick
-             automaton (the automata are thus sharded by block) and streams
-             its texts through it; every window around a located phrase is a
-             candidate, and the block's distinct candidates are counted
-    confirm  candidates are summed over blocks; the windows with two places
-             or more go back to the blocks that hold them
-    cut      each block drops the words that a confirmed window covers
-
-A phrase or window of a third of all texts is one row a block, so no task
-gathers its places. Windows are compared by 96 bits of hash. For the
-automaton a word is three letters of an alphabet of 32, which keeps its nodes
-few and narrow; an accidental match only adds a candidate.
+Texts are dealt into blocks of about BLOCK_BYTES, once; all steps read that
+one exchange:
+
+    suspect  each block's smallest phrase hashes, once a block with the number
+             of their places; summed over blocks, the repeated ones go back to
+             the blocks that hold them
+    confirm  blocks answer with the words of the suspected phrases; a phrase
+             recurs if two places have the same words, one by one. Confirmed
+             phrases go, as text, to the blocks that hold them
+    locate   a block compiles its phrases into Aho-Corasick automata, sharded
+             at SHARD phrases each, and streams all its texts through every
+             shard. Nothing else tells where a phrase stands. Every window
+             around an occurrence is a candidate, and the block's distinct
+             candidates are counted
+    judge    candidates are summed over blocks; those with two places or more
+             go back, as one place each, to the blocks that hold them
+    cut      each block drops the words that such a window covers
+
+A block gets only the phrases that occur in it: all texts through all phrases
+would be work that grows with the square of the corpus. A block, its phrases
+and one automaton are all that a task holds. A phrase or window of a third of
+all texts is one row a block: at 100 TB 17 million rows, about 1.5 GB for a
+phrase, that pass one task, sorted outside memory. Windows are compared by 96
+bits of hash. In the automata a word is its number in the block's vocabulary,
+spelled in letters of an alphabet of 32, which keeps nodes narrow at any size.
 
 Defined results: null and wordless texts have no words and keep none; texts
 shorter than a window lose nothing; equal rows of a window or more lose all
-their words, as each is the other's recurrence.
+their words, as each is the other's recurrence. Equal rows are spread over
+blocks by the partition that they are read in.
 """
 
 from __future__ import annotations
 
 import hashlib
+from collections import Counter
 from math import ceil
 
 import numpy as np
@@ -41,11 +50,13 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 from pyspark.sql.window import Window
 
-from gradsift.llm.textkit import BLANK_WORDS, Words, covered, mix, per_doc, text_bytes, words_in_parts
+from gradsift.llm.textkit import BLANK_WORDS, Words, covered, mix, per_doc, text_bytes, words_in_parts, words_of
 
 WINDOW = 35
 PHRASE = 12
 BLOCK_BYTES = 6 << 20
+#: Phrases of one automaton.
+SHARD = 8192
 
 LETTERS = np.frombuffer(b"ABCDEFGHIJKLMNOPQRSTUVWXYZabcdef", np.uint8)
 
@@ -75,13 +86,23 @@ def phrase_hashes(w: Words, window: int, phrase: int) -> tuple[np.ndarray, np.nd
     return h, begins, low[starts] if len(starts) else np.zeros(0, np.uint64)
 
 
-def spelled(w: Words) -> str:
-    """Three letters for each word."""
-    bits = mix(w.hashes, 41)
-    out = np.empty((len(bits), 3), np.uint8)
-    for i in range(3):
-        out[:, i] = LETTERS[(bits >> np.uint64(5 * i)) & np.uint64(31)]
-    return out.tobytes().decode("ascii")
+def spelled(numbers: np.ndarray, letters: int) -> np.ndarray:
+    """Numbers as rows of so many letters."""
+    out = np.empty((len(numbers), letters), np.uint8)
+    for i in range(letters):
+        out[:, i] = LETTERS[(numbers >> 5 * i) & 31]
+    return out
+
+
+def joined(w: Words) -> tuple[bytes, np.ndarray]:
+    """All words of a block, each with one space behind, and their starts."""
+    size = w.ends - w.starts + 1
+    at = np.cumsum(size) - size
+    total = int(size.sum())
+    place = np.arange(total) - np.repeat(at - w.starts, size)
+    out = w.data[np.minimum(place, len(w.data) - 1)] if total else np.zeros(0, np.uint8)
+    out[at + size - 1] = 0x20
+    return out.tobytes(), at
 
 
 def _phrases(window: int, phrase: int):
@@ -96,35 +117,66 @@ def _phrases(window: int, phrase: int):
     return run
 
 
-def located(w: Words, repeated: np.ndarray, window: int, phrase: int) -> np.ndarray:
-    """First words of the windows around any occurrence of the repeated
-    phrases of this block."""
+def _texts(window: int, phrase: int):
+    """The words of a block's suspected phrases, with 1 or 2 for the places
+    that have them."""
+    empty = pa.table({"phrase": pa.array([], pa.string()), "block": pa.array([], pa.int32()), "n": pa.array([], pa.int32())})
+
+    def run(key: tuple, table: pa.Table, suspected: pa.Table) -> pa.Table:
+        if not table.num_rows or not suspected.num_rows:
+            return empty
+        w, _ = block_words(table)
+        h, begins, _ = phrase_hashes(w, window, phrase)
+        here = np.flatnonzero(begins & np.isin(h, suspected.column("h").to_numpy().view(np.uint64)))
+        here = here[np.argsort(h[here], kind="stable")]
+        first = np.flatnonzero(np.concatenate([[True], h[here[1:]] != h[here[:-1]]])) if len(here) else here
+        raw, at = joined(w)
+        ends = np.concatenate([at[1:], [len(raw)]]) - 1
+        words = lambda places: [raw[x:y] for x, y in zip(at[places].tolist(), ends[places + phrase - 1].tolist(), strict=True)]
+        times = np.diff(np.concatenate([first, [len(here)]]))
+        found, second = words(here[first]), words(here[np.minimum(first + 1, len(here) - 1)] if len(here) else here)
+        out = []
+        for i, (a, b, n) in enumerate(zip(found, second, times.tolist(), strict=True)):
+            if n == 1 or a == b:
+                out.append((a, min(n, 2)))
+            else:  # one hash, unlike words
+                out += [(t, min(m, 2)) for t, m in Counter(words(here[first[i] : first[i] + n])).items()]
+        return pa.table({"phrase": pa.array([t.decode() for t, _ in out], pa.string()), "block": np.full(len(out), key[0].as_py(), np.int32), "n": np.array([n for _, n in out], np.int32)})
+
+    return run
+
+
+def streamed(code: str, patterns: list[str], letters: int) -> np.ndarray:
+    """Numbers of the words at which a pattern ends in the code of a block,
+    by one automaton of these patterns."""
     import ahocorasick
 
-    h, begins, _ = phrase_hashes(w, window, phrase)
-    code = spelled(w)
-    first = np.full(len(repeated), -1)
-    order = np.argsort(repeated)
-    here = np.flatnonzero(begins)
-    place = np.searchsorted(repeated, h[here], sorter=order)
-    known = (place < len(repeated)) & (repeated[order[np.minimum(place, len(repeated) - 1)]] == h[here])
-    first[order[place[known]]] = here[known]
     automaton = ahocorasick.Automaton(ahocorasick.STORE_LENGTH)
-    for i in first[first >= 0].tolist():
-        automaton.add_word(code[3 * i : 3 * (i + phrase)])
-    if not len(automaton):
-        return np.zeros(0, np.int64)
+    for p in patterns:
+        automaton.add_word(p)
     automaton.make_automaton()
+    ends = np.fromiter((e for e, _ in automaton.iter(code)), np.int64)
+    return ends[ends % letters == letters - 1] // letters
+
+
+def located(w: Words, phrases: pa.ChunkedArray, window: int, phrase: int) -> np.ndarray:
+    """First words of the windows around any occurrence of the phrases, found
+    by automata of SHARD phrases each."""
+    known, number = np.unique(w.hashes, return_inverse=True)
+    letters = max(1, ceil(np.log2(max(len(known), 2)) / 5))
+    code = spelled(number, letters).tobytes().decode("ascii")
+    p = words_of(*text_bytes(phrases), BLANK_WORDS)
+    patterns = spelled(np.searchsorted(known, p.hashes), letters).reshape(-1, phrase * letters)
     near = np.zeros(len(w.starts) + 1, np.int64)
-    for d in np.flatnonzero(w.counts >= window).tolist():
-        a, n = int(w.first[d]), int(w.counts[d])
-        ends = [e for e, _ in automaton.iter(code[3 * a : 3 * (a + n)]) if e % 3 == 2]
-        if ends:
-            start = (np.array(ends) + 1) // 3 - phrase
-            lo, hi = np.maximum(start - (window - phrase), 0), np.minimum(start, n - window)
-            ok = lo <= hi
-            np.add.at(near, a + lo[ok], 1)
-            np.add.at(near, a + hi[ok] + 1, -1)
+    for lo in range(0, len(patterns), SHARD):
+        last = streamed(code, [x.tobytes().decode("ascii") for x in patterns[lo : lo + SHARD]], letters)
+        start = last - phrase + 1
+        d = w.doc[last]
+        first, n = w.first[d], w.counts[d]
+        low, high = np.maximum(start - (window - phrase), first), np.minimum(start, first + n - window)
+        inside = (start >= first) & (n >= window) & (low <= high)
+        np.add.at(near, low[inside], 1)
+        np.add.at(near, high[inside] + 1, -1)
     return np.flatnonzero(np.cumsum(near[:-1]) > 0)
 
 
@@ -133,20 +185,24 @@ def window_keys(w: Words, at: np.ndarray, window: int) -> tuple[np.ndarray, np.n
     return w.spans(at, at + window, 51).view(np.int64), (w.spans(at, at + window, 52) >> np.uint64(32)).astype(np.uint32).view(np.int32)
 
 
-CANDIDATES = "w1 long, w2 int, block int, n int"
+CANDIDATES = "w1 long, w2 int, block int, place int, n int"
 
 
 def _candidates(window: int, phrase: int):
-    empty = pa.table({"w1": pa.array([], pa.int64()), "w2": pa.array([], pa.int32()), "block": pa.array([], pa.int32()), "n": pa.array([], pa.int32())})
+    empty = pa.table({"w1": pa.array([], pa.int64())} | {c: pa.array([], pa.int32()) for c in ("w2", "block", "place", "n")})
 
-    def run(key: tuple, table: pa.Table, repeated: pa.Table) -> pa.Table:
-        if not table.num_rows or not repeated.num_rows:
+    def run(key: tuple, table: pa.Table, phrases: pa.Table) -> pa.Table:
+        if not table.num_rows or not phrases.num_rows:
             return empty
         w, _ = block_words(table)
-        at = located(w, repeated.column("h").to_numpy().view(np.uint64), window, phrase)
+        at = located(w, phrases.column("phrase"), window, phrase)
         w1, w2 = window_keys(w, at, window)
-        w1, index, times = np.unique(w1, return_index=True, return_counts=True)
-        return pa.table({"w1": w1, "w2": w2[index], "block": np.full(len(w1), key[0].as_py(), np.int32), "n": np.minimum(times, 2).astype(np.int32)})
+        order = np.lexsort((w2, w1))
+        new = np.ones(len(order), bool)
+        new[1:] = (w1[order[1:]] != w1[order[:-1]]) | (w2[order[1:]] != w2[order[:-1]])
+        index, first = order[new], np.flatnonzero(new)
+        times = np.diff(np.concatenate([first, [len(order)]]))
+        return pa.table({"w1": w1[index], "w2": w2[index], "block": np.full(len(index), key[0].as_py(), np.int32), "place": at[index].astype(np.int32), "n": np.minimum(times, 2).astype(np.int32)})
 
     return run
 
@@ -175,12 +231,13 @@ def _cut(window: int, names: list[str], with_text: bool):
         removed = np.zeros(len(w.starts), bool)
         at = np.flatnonzero(w.doc[: len(w.starts) - window + 1] == w.doc[window - 1 :]) if len(w.starts) >= window else np.zeros(0, np.int64)
         if confirmed.num_rows and len(at):
-            known, check = confirmed.column("w1").to_numpy(), confirmed.column("w2").to_numpy()
-            order = np.argsort(known)
-            known, check = known[order], check[order]
             w1, w2 = window_keys(w, at, window)
-            place = np.minimum(np.searchsorted(known, w1), len(known) - 1)
-            removed = covered(at[(known[place] == w1) & (check[place] == w2)], window, len(w.starts))
+            index = np.searchsorted(at, confirmed.column("place").to_numpy())
+            known = np.unique(w1[index])
+            check = np.unique(mix(w1[index].view(np.uint64), 1) ^ w2[index].view(np.uint32))
+            hit = np.isin(w1, known)
+            hit[hit] = np.isin(mix(w1[hit].view(np.uint64), 1) ^ w2[hit].view(np.uint32), check)
+            removed = covered(at[hit], window, len(w.starts))
         raw, ends = kept_text(w, offsets, removed)
         parts = [raw[a:b] for a, b in zip(ends[:-1].tolist(), ends[1:].tolist(), strict=True)]
         out = {c: table.column(c) for c in names}
@@ -202,15 +259,17 @@ def cut_repeats(docs: DataFrame, text: str = "text", window: int = WINDOW, phras
     blocks = max(1, ceil(size / block_bytes))
     # columns ride along under numbers, so that no name can clash
     inner = [f"c{i}" for i in range(len(names))]
-    row = F.xxhash64(F.col(text), *[F.col(c) for c in names if dict(docs.dtypes)[c].split("<")[0] not in ("map", "variant")])
+    row = F.xxhash64(F.col(text), F.spark_partition_id(), *[F.col(c) for c in names if dict(docs.dtypes)[c].split("<")[0] not in ("map", "variant")])
     rows = docs.select(*[F.col(c).alias(i) for c, i in zip(names, inner, strict=True)], F.col(text).alias("text"), F.pmod(row, F.lit(blocks)).cast("int").alias("block"))
     by_block = rows.groupBy("block")
 
     total = lambda *keys: F.sum("n").over(Window.partitionBy(*keys))
-    phrases = by_block.applyInArrow(_phrases(window, phrase), "h long, block int, n int")
-    repeated = phrases.withColumn("n", total("h")).where("n > 1").select("h", "block")
-    candidates = by_block.cogroup(repeated.groupBy("block")).applyInArrow(_candidates(window, phrase), CANDIDATES)
-    confirmed = candidates.withColumn("n", total("w1", "w2")).where("n > 1").select("w1", "w2", "block")
+    suspected = by_block.applyInArrow(_phrases(window, phrase), "h long, block int, n int")
+    suspected = suspected.withColumn("n", total("h")).where("n > 1").select("h", "block")
+    recurring = by_block.cogroup(suspected.groupBy("block")).applyInArrow(_texts(window, phrase), "phrase string, block int, n int")
+    recurring = recurring.withColumn("n", total("phrase")).where("n > 1").select("phrase", "block")
+    candidates = by_block.cogroup(recurring.groupBy("block")).applyInArrow(_candidates(window, phrase), CANDIDATES)
+    confirmed = candidates.withColumn("n", total("w1", "w2")).where("n > 1").select("place", "block")
     out = T.StructType([f for f in rows.schema if f.name in inner] + [T.StructField("n_words", T.LongType()), T.StructField("n_removed", T.LongType()), T.StructField("kept_sha256", T.StringType())] + ([T.StructField("kept_text", T.StringType())] if with_text else []))
     result = by_block.cogroup(confirmed.groupBy("block")).applyInArrow(_cut(window, inner, with_text), out)
     return result.select(*[F.col(i).alias(c) for c, i in zip(names, inner, strict=True)], *added)
