@@ -195,12 +195,14 @@ def slices(data: np.ndarray, offsets: np.ndarray) -> list[bytes]:
     return [raw[a:b] for a, b in zip(at[:-1], at[1:], strict=True)]
 
 
-def per_process(key: str, make: Callable):
-    """An object that a Python worker makes once and keeps for later tasks."""
+def per_process(key: str, make: Callable, version: str = ""):
+    """An object that a Python worker makes once and keeps for later tasks;
+    of one key, only the last version is kept."""
     store = vars(sys.modules.setdefault("_gradsift_process", types.ModuleType("_gradsift_process")))
-    if key not in store:
-        store[key] = make()
-    return store[key]
+    if key not in store or store[key][0] != version:
+        store.pop(key, None)
+        store[key] = (version, make())
+    return store[key][1]
 
 
 Measure = Callable[[pa.RecordBatch, np.ndarray, np.ndarray], dict]

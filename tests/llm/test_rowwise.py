@@ -8,7 +8,7 @@ from collections import Counter
 import pytest
 
 from gradsift.llm import entry, fertility, prefixcount, urlvocab, wumanber
-from gradsift.llm.textkit import BLANK_WORDS, words_in_parts, words_of
+from gradsift.llm.textkit import ALNUM_WORDS, BLANK_WORDS, words_in_parts, words_of
 
 LONG = " ".join(f"w{i % 700}" for i in range(20_000))
 TEXTS = ["", None, " \n\t ", "one", "Ünï  çödé\nÜnï", "a b c a b c a b c\n\na b c", LONG, "#x|y*\n#x|y*\n<b>", "\x00\x1f\x85nbsp\xa0x", "same row", "same row", "日本語 テスト кириллица " * 30]
@@ -127,11 +127,46 @@ def test_wu_manber_matches_brute_force(spark, monkeypatch, share):
     assert clean == {i for i, t in enumerate(texts) if not hits_by_hand(t, windows)[4]}
 
 
-def test_wu_manber_skips():
+def cut_words(texts):
+    import numpy as np
+
+    raw = [t.encode() for t in texts]
+    return words_of(np.frombuffer(b"".join(raw), np.uint8), np.cumsum([0, *map(len, raw)]), ALNUM_WORDS, lower=True)
+
+
+def test_wu_manber_skips(monkeypatch):
     """Shifts pass over words that no window can end in."""
-    words = tuple(f"p{i}".encode() for i in range(10))
-    s = wumanber.Searcher([words])
-    assert s.most == 9 and min(s.shift.values()) == 0 and len(s.buckets) == 1
+    w = cut_words([" ".join(f"p{i}" for i in range(10))])
+    s = wumanber.Searcher(w, w.first, 10)
+    assert s.most == 9 and sorted(s.steps) == list(range(9)) and len(s.ends) == 1
+    read = []
+    plain = wumanber.Searcher.shifts
+    monkeypatch.setattr(wumanber.Searcher, "shifts", lambda self, keys: read.append(len(keys)) or plain(self, keys))
+    start, test = s.occurrences(cut_words([LONG, "a b " + " ".join(f"P{i}" for i in range(10)) + " p0 p1"]))
+    assert start.tolist() == [20_002] and test.tolist() == [0] and sum(read) < 20_000 / 8
+
+
+def test_a_large_benchmark_is_made_into_tables_in_seconds():
+    import time
+
+    import pyarrow as pa
+
+    rng = random.Random(7)
+    words = [f"w{rng.randrange(50_000)}" for _ in range(700_000)]
+    items = [" ".join(words[i : i + 70]) for i in range(0, len(words), 70)]
+    began = time.perf_counter()
+    tables = wumanber.Tables(pa.table({"item": [str(i) for i in range(len(items))], "text": items}), 10)
+    assert time.perf_counter() - began < 20 and len(tables.searchers[0].first) == len(items) * 61
+    text, word, of, item = tables.search(cut_words(["nothing here", "x " + items[5], LONG]))
+    assert set(text.tolist()) == {1} and word.tolist() == list(range(1, 71)) and (of.tolist(), item.tolist()) == ([1], [5])
+
+
+def test_clashing_columns_stay(spark):
+    rows = spark.createDataFrame([(1, "a b", "x", 5, "y", 3)], "doc_id long, text string, hit_words string, n_hit int, hit_items string, _hit int")
+    bench = spark.createDataFrame([("q", "b")], "item_id string, text string")
+    got = wumanber.search(rows, bench).first()
+    assert (got.hit_words, got.n_hit, got.hit_items, got._hit, got.contaminated) == ("x", 1, "y", 3, True)
+    assert tuple(fertility.score(table(spark)).where("doc_id = 3").select("n_words").first()) == (1,)
 
 
 def test_empty_tables(spark):
