@@ -13,18 +13,21 @@ chunk at once; the permutation is unrolled from the swaps alone.
     pairs   classes that share a band key are paired with the smallest
             class there, one pair a member and key, never all with all
     verify  pairs are confirmed on the full sets, then united
-    rest    band keys whose classes are still apart: all pairs across
-            components are compared inside tasks, in blocks of bounded size,
-            so that a link whose ends both differ from the smallest class
-            is found too
+    rest    band keys whose classes are still apart: pairs across components
+            are compared inside tasks, so that a link whose ends both differ
+            from the smallest class is found too. Classes stand in cells of
+            bounded size, a large component in cells of its own, and cells of
+            one component are never compared: where one component has nearly
+            all classes of a key, each of its sets is sent once for every
+            cell of the others, not for every cell
     unite   components of all links; the class names map back to rows
 
 With 32 bands of 4 places a pair at the threshold of 0.85 shares no band key
 with probability (1 - 0.85**4)**32 < 1e-10.
 
 Defined results: null and wordless texts have an empty set and are alone;
-texts shorter than a shingle have their words as the only one. An id may be
-null or repeated: rows are grouped by their texts alone, null is the smallest
+texts shorter than a shingle have their words as the only one. An id is an
+integer, and may be null or repeated: rows are grouped by their texts alone, null is the smallest
 id, and groups whose smallest ids are equal share that name but stay apart.
 A row is found again by its id and a 64-bit hash of its text.
 """
@@ -209,6 +212,27 @@ def _compare_block(link: int):
     return run
 
 
+def _in_cells(rest: DataFrame) -> DataFrame:
+    """(pair, id, comp) of band keys whose classes are apart: every class once
+    for each pair of cells that its own cell is part of."""
+    parts = lambda m, s: F.greatest(F.ceil(m / F.lit(PART_SETS)), F.ceil(s / F.lit(PART_BYTES // 8)))
+    each = rest.groupBy("band", "comp").agg(F.count("*").alias("m"), F.sum("n_shingles").alias("s"))
+    # a component of half a cell or more has cells of its own, named by it
+    each = each.select("*", (parts(F.col("m") * 2, F.col("s") * 2) > 1).alias("own"))
+    small = each.where("not own").groupBy("band").agg(parts(F.sum("m"), F.sum("s")).alias("shared"))
+    each = each.join(small, "band", "left")
+    each = each.select("band", "comp", F.when(F.col("own"), F.col("comp")).otherwise(-1).alias("of"), F.when(F.col("own"), parts(F.col("m"), F.col("s"))).otherwise(F.col("shared")).alias("cells"))
+    place = F.pmod(F.when(F.col("of") >= 0, F.xxhash64("id")).otherwise(F.xxhash64("comp")), F.col("cells"))
+    members = written(rest.join(each, ["band", "comp"]).select("band", "id", "comp", F.struct("of", place.alias("number")).alias("cell")), "cells")
+
+    cells = members.select("band", "cell").distinct()
+    x, y = cells.select("band", F.col("cell").alias("x")), cells.select("band", F.col("cell").alias("y"))
+    pairs = x.join(y, "band").where((F.col("x") <= F.col("y")) & ((F.col("x.of") != F.col("y.of")) | (F.col("x.of") < 0)))
+    pairs = pairs.select("band", "x", "y", F.xxhash64("band", "x", "y").alias("pair"))
+    sides = pairs.select("band", F.col("x").alias("cell"), "pair").unionByName(pairs.where(F.col("x") != F.col("y")).select("band", F.col("y").alias("cell"), "pair"))
+    return members.join(sides, ["band", "cell"]).select("pair", "id", "comp")
+
+
 def links(docs: DataFrame, key: str = "doc_id", text: str = "text", link: int = LINK, bands: int = BANDS, rows: int = ROWS) -> tuple[DataFrame, DataFrame, DataFrame]:
     """(found, classes, roots): found has id, hash, n_shingles and the set's
     fingerprint of every row of docs; classes has the fingerprint, rep, the
@@ -234,13 +258,8 @@ def links(docs: DataFrame, key: str = "doc_id", text: str = "text", link: int =
     apart = placed.groupBy("band").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi"), F.count("*").alias("m"), F.sum("n_shingles").alias("s"), F.sum(F.xxhash64("id").cast("decimal(38,0)")).alias("who")).where("lo < hi")
     # keys with the same members need one look
     apart = apart.groupBy("who", "m", "s").agg(F.min("band").alias("band"))
-    rest = placed.join(apart.select("band", "m", "s"), "band")
-    blocks = F.greatest(F.ceil(F.col("m") / F.lit(PART_SETS)), F.ceil(F.col("s") / F.lit(PART_BYTES // 8))).cast("int")
-    own = F.pmod(F.xxhash64("id"), blocks).cast("int")
-    other = F.explode(F.sequence(F.lit(0), blocks - 1))
-    rest = rest.select("*", own.alias("own"), other.alias("other"))
-    rest = rest.select("band", "id", "comp", F.least("own", "other").alias("x"), F.greatest("own", "other").alias("y")).join(sets, "id")
-    more = rest.groupBy("band", "x", "y").applyInPandas(_compare_block(link), "u long, v long")
+    rest = _in_cells(placed.join(apart.select("band"), "band"))
+    more = rest.join(sets, "id").groupBy("pair").applyInPandas(_compare_block(link), "u long, v long")
     return found, classes, components(first.select(F.col("vertex").alias("u"), F.col("root").alias("v")).unionByName(more))
 
 
@@ -267,10 +286,15 @@ def one_of_each(docs: DataFrame, key: str = "doc_id", text: str = "text", link:
     """One row of docs for each component, unchanged, and every row without
     words."""
     found, placed = _placed(docs.select(key, text), key, text, link)
-    first = placed.select(F.col("comp").alias("_id"), F.col("comp_hash").alias("_hash"), F.lit(False).alias("_alone"))
-    alone = found.where("n_shingles = 0").select(F.col("id").alias("_id"), F.col("hash").alias("_hash"), F.lit(True).alias("_alone"))
+    mark = "_"
+    while any(c.startswith(mark) for c in docs.columns):
+        mark += "_"
+    own = [c.alias(mark + n) for c, n in zip(_named(key, text), ("id", "hash"), strict=True)]
+    same = [mark + n for n in ("id", "hash")]
+    first = placed.select(F.col("comp").alias(same[0]), F.col("comp_hash").alias(same[1]), F.lit(False).alias(mark + "alone"))
+    alone = found.where("n_shingles = 0").select(F.col("id").alias(same[0]), F.col("hash").alias(same[1]), F.lit(True).alias(mark + "alone"))
     chosen = first.unionByName(alone).distinct()
-    own = [c.alias(f"_{n}") for c, n in zip(_named(key, text), ("id", "hash"), strict=True)]
-    # rows of one id and text are told apart only where all of them stay
-    rows = docs.select("*", *own).join(chosen, ["_id", "_hash"]).withColumn("_row", F.when(F.col("_alone"), F.monotonically_increasing_id()))
-    return rows.dropDuplicates(["_id", "_hash", "_row"]).select(*docs.columns)
+    # rows of one id and text are told apart only where all of them stay; the
+    # join has already dealt the rows by id and text
+    rows = docs.select("*", *own).join(chosen, same).withColumn(mark + "row", F.when(F.col(mark + "alone"), F.monotonically_increasing_id()))
+    return rows.dropDuplicates([*same, mark + "row"]).select(*docs.columns)
