@@ -1,6 +1,7 @@
 """Operators that look across rows: shards, secrets, duplicates, phrases,
 resampling, mixing, and the pipeline."""
 
+import bisect
 import hashlib
 import random
 import re
@@ -50,6 +51,49 @@ def test_ring_splits_a_hot_key_and_repeated_rows(spark):
     assert max(counts.values()) - min(counts.values()) <= 1
 
 
+def ring_by_hand(rows, shards=16):
+    """(key, size, crc) to the shards its rows go to: walks every row along
+    the ring by itself, round after round."""
+    nodes, order = RING
+    places, counts = [s for s, _ in nodes], Counter((i, len((t or "").encode()) + 1, zlib.crc32((t or "").encode())) for i, t in rows)
+    waiting = defaultdict(list)
+    for row in counts:
+        waiting[bisect.bisect_left(places, order[row[0]]) % len(nodes)] += [row] * counts[row]
+    room, out = [len(rows) // shards + (s < len(rows) % shards) for s in range(shards)], Counter()
+    taken = Counter()
+    for r in range(shards):
+        for arc in range(len(nodes)):
+            met = list(dict.fromkeys(nodes[(arc + i) % len(nodes)][1] for i in range(len(nodes))))
+            while len(waiting[arc]) > taken[arc] and room[met[r]]:
+                room[met[r]] -= 1
+                taken[arc] += 1
+                out[arc, met[r]] += 1
+    return {a: len(w) for a, w in waiting.items()}, out
+
+
+RING = None
+
+
+@pytest.mark.parametrize("cell,piece", [(1 << 20, 1 << 16), (16, 8)])
+def test_ring_map_matches_a_walk_row_by_row(spark, monkeypatch, cell, piece):
+    global RING
+    monkeypatch.setattr(ring, "CELL_ROWS", cell)
+    monkeypatch.setattr(ring, "PIECE", piece)
+    rows = [(7, f"t{i}") for i in range(90)] + [(None, "n")] * 100 + [(i, "u") for i in range(200)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    slots = {r[0]: r[1] for r in docs.select("doc_id", ring.slot_of("doc_id").alias("s")).distinct().collect()}
+    RING = ring.nodes_of(spark, 16, ring.VNODES), slots
+    by_arc, shares = ring_by_hand(rows)
+    got = ring.assign(docs).collect()
+    assert Counter((r.doc_id, r.size, r.text_crc32) for r in got) == Counter((i, len(t) + 1, zlib.crc32(t.encode())) for i, t in rows)
+    places = [s for s, _ in RING[0]]
+    assert Counter((bisect.bisect_left(places, slots[r.doc_id]) % len(places), r.shard) for r in got) == shares
+    slot = defaultdict(list)
+    for r in got:
+        slot[r.shard].append(r.slot)
+    assert all(sorted(v) == list(range(len(v))) for v in slot.values())
+
+
 def test_ring_moves_few_keys_with_slack(spark):
     docs = table(spark, [f"t{i}" for i in range(2000)])
     home = ring.assign(docs, slack=10.0)
@@ -215,6 +259,30 @@ def test_groups_in_small_parts_find_the_same(spark, monkeypatch):
     assert [got[i] for i in range(len(texts))] == [root for _, root in components_by_hand(texts)]
 
 
+def test_one_large_component_beside_small_ones_in_small_cells(spark, monkeypatch):
+    """Small families share band keys with a large one; every link is found."""
+    rng = random.Random(14)
+    base = [f"v{rng.randrange(5000)}" for _ in range(300)]
+    far = [*base[:230], *[f"z{i}" for i in range(70)]]
+    texts = []
+    for start, n in ((base, 60), (far, 6), (far[::-1], 3)):
+        for _ in range(n):
+            w = list(start)
+            w[rng.randrange(100, 200)] = f"e{rng.randrange(10**6)}"
+            texts.append(" ".join(w))
+    rng.shuffle(texts)
+    monkeypatch.setattr(superminhash, "PART_SETS", 4)
+    got = {r.doc_id: r.component_id for r in superminhash.groups(table(spark, texts)).collect()}
+    assert [got[i] for i in range(len(texts))] == [root for _, root in components_by_hand(texts)]
+
+
+def test_one_of_each_leaves_clashing_columns(spark):
+    docs = spark.createDataFrame([(1, "a b", 5, "x", True, 7), (2, "a b", 6, "y", False, 8), (3, "", 1, "z", None, None)], "doc_id long, text string, _id int, _hash string, __alone boolean, _kept int")
+    got = sorted(map(tuple, superminhash.one_of_each(docs).collect()))
+    assert got == [(1, "a b", 5, "x", True, 7), (3, "", 1, "z", None, None)]
+    assert superminhash.one_of_each(docs.where("false")).count() == 0
+
+
 def test_groups_of_null_and_repeated_ids(spark):
     docs = spark.createDataFrame([(None, "a b c d e f"), (3, "a b c d e f"), (3, "a b c d e f"), (5, "other words are here now")], "doc_id long, text string")
     got = sorted(((r.doc_id, r.component_id, r.kept) for r in superminhash.groups(docs).collect()), key=str)
@@ -318,6 +386,40 @@ def test_phrases_match_brute_force(spark, block):
         assert r.source == f"src{i % 3}" and r.slot == "x"
 
 
+def test_automata_are_the_only_way_to_the_phrases(spark, monkeypatch):
+    """Without occurrences nothing is removed; shards of any size agree."""
+    import numpy as np
+
+    rng = random.Random(9)
+    shared = " ".join(f"w{rng.randrange(90)}" for _ in range(120))
+    texts = [f"a{i} {shared} b{i}" for i in range(6)]
+    removed = lambda: [r.n_removed for r in phrases.cut_repeats(table(spark, texts)).orderBy("doc_id").collect()]
+    assert removed() == [120] * 6
+    monkeypatch.setattr(phrases, "SHARD", 2)
+    assert removed() == [120] * 6
+    monkeypatch.setattr(phrases, "streamed", lambda code, patterns, letters: np.zeros(0, np.int64))
+    assert removed() == [0] * 6
+
+
+def test_phrases_are_confirmed_by_their_words(spark, monkeypatch):
+    """Phrases of one hash and unlike words are not taken for recurring."""
+    import numpy as np
+
+    plain = phrases.phrase_hashes
+
+    def colliding(w, window, phrase):
+        h, begins, low = plain(w, window, phrase)
+        return np.where(begins, h % np.uint64(7), h), begins, low % np.uint64(7)
+
+    monkeypatch.setattr(phrases, "phrase_hashes", colliding)
+    rng = random.Random(10)
+    line = lambda n: " ".join(f"w{rng.randrange(5000)}" for _ in range(n))
+    shared = line(50)
+    texts = [line(60) for _ in range(8)] + [line(20) + " " + shared, shared + " " + line(9), shared]
+    got = [r.n_removed for r in phrases.cut_repeats(table(spark, texts), block_bytes=1500).orderBy("doc_id").collect()]
+    assert got == [n for _, n, _ in cut_by_hand(texts)]
+
+
 def test_phrases_of_an_empty_table(spark):
     assert phrases.cut_repeats(table(spark, [])).count() == 0
 
