@@ -8,8 +8,11 @@ documents without replacement in proportion to their weights.
 
 The counts are two vectors of fixed length, summed inside each task before
 they meet. The k-th largest score is found by a radix search over histograms
-of fixed length, so nothing is sorted, and the sample has exactly k rows but
-for rows of equal id and score, which share their fate.
+of fixed length, so nothing is sorted. Rows with exactly that score are taken
+in the order of a hash of id and text, found by the same search, so that the
+sample has exactly k rows; only rows that are equal in id and text can be more
+than there is room for, and then as many as there is room for are taken in the
+order in which they were written.
 
 Defined results: null and empty texts have weight 0, the log of 1; null ids
 draw the noise of null; an empty table gives no rows; without labelled good
@@ -22,7 +25,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
@@ -96,7 +99,7 @@ def weights(docs: DataFrame, ratio: np.ndarray, key: str, text: str, orders: tup
         n, bucket, doc = ngrams(data, offsets, orders)
         return {"n_grams": np.bincount(doc, minlength=n), "log_weight": np.round(np.bincount(doc, weights=ratio[bucket], minlength=n), 6)}
 
-    return annotate(docs.select(F.col(key).alias("id"), F.col(text).alias("text")), "text", WEIGHTS, lambda: measure, ["id"])
+    return annotate(docs.select(F.col(key).alias("id"), F.xxhash64(text).alias("body"), F.col(text).alias("text")), "text", WEIGHTS, lambda: measure, ["id", "body"])
 
 
 def kth_largest(rows: DataFrame, score: str, k: int) -> int:
@@ -121,9 +124,20 @@ def resample(docs: DataFrame, labels: DataFrame, key: str = "doc_id", text: str
     rows = weights(docs, models(docs, labels, key, text, orders), key, text, orders)
     u = (F.pmod(F.xxhash64(F.lit(seed), F.col("id")), F.lit(1 << 52)) + F.lit(0.5)) / F.lit(float(1 << 52))
     rows = rows.withColumn("score", F.round(F.col("log_weight") - F.log(-F.log(u)), 6))
-    # scores as integers: micro-units, in order
-    rows = written(rows.withColumn("rank_key", F.round(F.col("score") * 1_000_000).cast("long")), "resample")
+    # scores as integers: micro-units, in order; half of a long for the ties
+    rows = rows.withColumn("rank_key", F.round(F.col("score") * 1_000_000).cast("long")).withColumn("tie", F.shiftright(F.xxhash64(F.lit(seed + 1), "id", "body"), 2))
+    rows = written(rows.withColumn("row", F.monotonically_increasing_id()), "resample")
     k = int(round(fraction * rows.count()))
-    edge = kth_largest(rows, "rank_key", k) if k else None
-    kept = F.col("rank_key") >= F.lit(edge) if k else F.lit(False)
+    kept = _first(rows, k, ["rank_key", "tie", "row"]) if k else F.lit(False)
     return rows.select(F.col("id").alias(key), "n_grams", "log_weight", "score", kept.alias("kept"))
+
+
+def _first(rows: DataFrame, k: int, columns: list[str]) -> Column:
+    """Whether a row is among the k largest by these columns, compared one
+    after the other; the last tells all rows apart."""
+    edge = kth_largest(rows, columns[0], k)
+    c = F.col(columns[0])
+    counts = rows.agg(F.count_if(c > edge).alias("above"), F.count_if(c == edge).alias("at")).first()
+    if counts["above"] + counts["at"] == k or len(columns) == 1:
+        return c >= edge
+    return (c > edge) | ((c == edge) & _first(rows.where(c == edge), k - counts["above"], columns[1:]))
