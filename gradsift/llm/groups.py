@@ -5,7 +5,9 @@ hands its larger neighbours to the smallest vertex that it sees (large star),
 then its smaller ones and itself (small star). Both need only a minimum per
 vertex, which is pre-aggregated, and a join that Spark can split where one
 vertex has a great share of the edges. What is left is a star for each
-component. Each round is written to the shared folder.
+component. Each round is written to the shared folder, and the round before
+is deleted. The rounds grow with the logarithm of the longest chain; should
+MOST_ROUNDS not settle them, an error is raised rather than a part returned.
 """
 
 from __future__ import annotations
@@ -13,7 +15,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from gradsift.llm.shared import written
+from gradsift.llm.shared import discard, written
 
 MOST_ROUNDS = 60
 
@@ -45,10 +47,13 @@ def components(edges: DataFrame) -> DataFrame:
     now = written(_pairs(edges.select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v"))), "edges")
     seen = _digest(now)
     for _ in range(MOST_ROUNDS):
-        now = written(_small_star(_large_star(now)), "edges")
+        before, now = now, written(_small_star(_large_star(now)), "edges")
+        discard(before)
         got = _digest(now)
         if got == seen:
             break
         seen = got
+    else:
+        raise RuntimeError(f"components have not settled after {MOST_ROUNDS} rounds")
     roots = now.groupBy("u").agg(F.min("v").alias("root"))
     return roots.select(F.col("u").alias("vertex"), "root").unionByName(roots.select(F.col("root").alias("vertex"), "root").distinct())
