@@ -3,14 +3,17 @@ resampling, mixing, and the pipeline."""
 
 import bisect
 import hashlib
+import math
 import random
 import re
 import zlib
 from collections import Counter, defaultdict
 
 import pytest
+from pyspark.sql import functions as F
 
 from gradsift.llm import domains, groups, mixing, phrases, resample, ring, secretscan, superminhash
+from gradsift.llm.textkit import words_of
 
 BLANK = r"[^\x20\x09-\x0D]+"
 
@@ -464,14 +467,109 @@ def test_kth_largest(spark):
         assert resample.kth_largest(rows, "v", k) == sorted(values, reverse=True)[k - 1]
 
 
-def test_gumbel_sampling_follows_the_weights(spark):
-    import math
+def ngrams_by_hand(text, orders):
+    """Buckets of one text, order by order, from its own words alone."""
+    import numpy as np
+
+    raw, out = (text or "").encode(), []
+    for kind, n, size, _ in orders:
+        w = words_of(np.frombuffer(raw, np.uint8), np.array([0, len(raw)]), resample.CLASSES[kind], lower=True)
+        out.append([int(h) % size for h in w.windows(n, 80 + n)[1].tolist()])
+    return out
+
+
+def test_resampling_matches_brute_force(spark):
+    """Counts, log ratios, scores and the sample itself, ties included."""
+    docs, labels = labelled(spark, 120)
+    texts = [(r.doc_id, r.text) for r in docs.collect()] + [(500, "tie one"), (500, "tie two"), (501, "c1 c2"), (501, "c1 c2")]
+    docs = spark.createDataFrame(texts, "doc_id long, text string")
+    orders = (("blank", 1, 64, 1.0), ("alnum", 1, 128, 1.0), ("alnum", 2, 256, 30.0))
+    good = {r.doc_id for r in labels.collect() if r.quality == 1 and r.toxic == 0}
+    grams = [ngrams_by_hand(t, orders) for _, t in texts]
+    weight = [0.0] * len(texts)
+    for o, (_, _, size, prior) in enumerate(orders):
+        raw, target = Counter(b for g in grams for b in g[o]), Counter(b for (i, _), g in zip(texts, grams, strict=True) if i in good for b in g[o])
+        nr, nt = sum(raw.values()), sum(target.values())
+        p = [(raw[b] + 0.5) / (nr + 0.5 * size) for b in range(size)]
+        ratio = [math.log((target[b] + prior * size * p[b]) / (nt + prior * size) / p[b]) for b in range(size)]
+        for i, g in enumerate(grams):
+            weight[i] += sum(ratio[b] for b in g[o])
+    noise = {r.doc_id: (r.h % 2**52 + 0.5) / 2**52 for r in docs.select("doc_id", F.xxhash64(F.lit(resample.SEED), "doc_id").alias("h")).collect()}
+    for fraction in (0.0, 0.3, 0.77, 1.0):
+        got = resample.resample(docs, labels, fraction=fraction, orders=orders).collect()
+        by = defaultdict(list)
+        for r in got:
+            by[r.doc_id].append(r)
+        for (i, _), w, g in zip(texts, weight, grams, strict=True):
+            assert any(abs(r.log_weight - w) < 1e-3 and r.n_grams == sum(map(len, g)) for r in by[i])
+        for r in got:
+            assert r.score == pytest.approx(r.log_weight - math.log(-math.log(noise[r.doc_id])), abs=2e-6)
+        k = round(fraction * len(texts))
+        assert sum(r.kept for r in got) == k
+        if 0 < k < len(texts):
+            assert min(r.score for r in got if r.kept) >= max(r.score for r in got if not r.kept)
+
+
+def test_resampling_takes_exactly_k_of_equal_scores(spark):
+    rows = [(7, f"t{i}") for i in range(40)] + [(7, "same")] * 40 + [(None, None)] * 20
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    none = spark.createDataFrame([], "doc_id long, quality int, toxic int")
+    for fraction in (0.1, 0.35, 0.6, 0.9):
+        assert sum(r.kept for r in resample.resample(docs, none, fraction=fraction).collect()) == round(100 * fraction)
+
+
+def rates_by_hand(n, p, targets, most=None, steps=mixing.STEPS):
+    """Projected gradient on plain arrays, one row a document."""
+    import numpy as np
 
-    rows = [(i, math.log(3.0) if i % 2 else 0.0) for i in range(4000)]
-    u = lambda i: (zlib.crc32(str(i).encode()) + 0.5) / 2**32
-    score = sorted(((lw - math.log(-math.log(u(i))), i) for i, lw in rows), reverse=True)[:400]
-    odd = sum(i % 2 for _, i in score)
-    assert 0.68 < odd / 400 < 0.82
+    mass, rate = (n[:, None] * p).sum(axis=0), np.ones(len(n))
+    share = np.array(targets) / sum(targets)
+    aim = share * mass.sum() if most is None else np.minimum(mass, share * mass[share.argmax()] / share.max())
+    for _ in range(steps):
+        g = ((n * rate)[:, None] * p).sum(axis=0) - aim
+        if (abs(g / mass) < mixing.ENOUGH).all():
+            break
+        rate = np.clip(rate - p @ (g / mass), 0, most)
+    return rate, ((n * rate)[:, None] * p).sum(axis=0), aim
+
+
+def test_mixing_matches_brute_force(spark):
+    """Posteriors of every text by itself, rates by plain arrays, targets."""
+    import numpy as np
+
+    docs, labels = labelled(spark, 400)
+    model = mixing._model(docs, labels, "doc_id", "text")
+    got = mixing.rates(docs, labels).collect()
+    texts = Counter((r.doc_id, r.text) for r in docs.collect())
+    post = {}
+    for (i, t), _ in texts.items():
+        raw = (t or "").encode()
+        w, feature, doc = domains.features(np.frombuffer(raw, np.uint8), np.array([0, len(raw)]))
+        z = [float(sum(model[0][f, k] for f in feature)) + float(model[1][k]) for k in range(3)]
+        e = [math.exp(x - max(z)) for x in z]
+        post[i] = (len(re.findall(r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+", t or "")), [x / sum(e) for x in e])
+    for r in got:
+        n, p = post[r.doc_id]
+        assert r.n_tokens == n and [r.p_clean, r.p_low, r.p_toxic] == pytest.approx(p, abs=1e-5)
+    n = np.array([r.n_tokens for r in got], float)
+    p = np.array([[r.p_clean, r.p_low, r.p_toxic] for r in got])
+    rate, reached, aim = rates_by_hand(n, p, mixing.TARGETS)
+    assert [r.rate for r in got] == pytest.approx(rate.tolist(), abs=1e-6) and reached == pytest.approx(aim, rel=1e-4)
+    for targets in (mixing.TARGETS, (0.3, 0.4, 0.3), (0.5, 0.5, 0.0)):
+        rate, reached, aim = rates_by_hand(n, p, targets, 1.0)
+        u = {r.doc_id: r.u for r in docs.select("doc_id", mixing.draw(F.col("doc_id")).alias("u")).collect()}
+        kept = {r.doc_id for r in mixing.mixed(docs, labels, targets=targets).collect()}
+        assert kept == {r.doc_id for r, x in zip(got, rate, strict=True) if u[r.doc_id] < round(x, 9)}
+        assert rate.min() >= 0 and rate.max() <= 1
+
+
+def test_a_domain_in_short_supply_does_not_shrink_the_others():
+    import numpy as np
+
+    assert mixing.aims(np.array([80.0, 10, 10]), (0.8, 0.1, 0.1), 1.0).tolist() == [80, 10, 10]
+    assert mixing.aims(np.array([80.0, 1, 10]), (0.8, 0.1, 0.1), 1.0).tolist() == [80, 1, 10]
+    assert mixing.aims(np.array([80.0, 10, 10]), (0.96, 0.03, 0.01), 1.0).tolist() == pytest.approx([80, 2.5, 0.8333333])
+    assert mixing.aims(np.array([60.0, 30, 10]), (0.5, 0.3, 0.2)).tolist() == [50, 30, 20]
 
 
 def test_mixing_reaches_the_targets_and_keeps_clean_documents(spark):
@@ -481,10 +579,13 @@ def test_mixing_reaches_the_targets_and_keeps_clean_documents(spark):
     total = sum(r.n_tokens * r.rate for r in got)
     for name, share in zip(mixing.DOMAINS, mixing.TARGETS, strict=True):
         assert sum(r.n_tokens * r.rate * r[f"p_{name}"] for r in got) / total == pytest.approx(share, abs=2e-3)
-    rate = lambda k: sum(r.kept for r in got if r.doc_id is not None and 800 <= r.doc_id < 1600 and r.doc_id % 10 == k) / 80
+    kept = {r.doc_id for r in mixing.mixed(docs, labels).collect()}
+    rate = lambda k: sum(i in kept for i in range(800, 1600) if i % 10 == k) / 80
     assert rate(0) < 0.3 and rate(1) < 0.3 and min(rate(k) for k in range(2, 10)) > 0.9
-    kept = {r.doc_id for r in mixing.mixed(docs.withColumnRenamed("text", "text"), labels).collect()}
-    assert kept == {r.doc_id for r in got if r.kept}
+    stay = [r for r in got if r.doc_id in kept]
+    total = sum(r.n_tokens for r in stay)
+    for name, share in zip(mixing.DOMAINS, mixing.TARGETS, strict=True):
+        assert sum(r.n_tokens * r[f"p_{name}"] for r in stay) / total == pytest.approx(share, abs=0.02)
 
 
 def test_mixing_edge_tables(spark):
@@ -523,3 +624,102 @@ def test_pipeline_stages(spark, sf):
         assert now <= seen, name
         seen = now
     assert {r.doc_id for r in corpus_pipeline.run(spark, sf).collect()} == seen
+
+
+def pipeline_tables(spark, folder):
+    """A small corpus with everything that the stages look for, with null and
+    repeated ids, repeated rows and a column that clashes with added ones."""
+    rng = random.Random(21)
+    stems = "the house of my father stands near an old river where children play and people walk along slowly under green trees while birds sing their songs until evening comes with rain".split()
+    prose = lambda n: " ".join(rng.choice(stems) + rng.choice(["", "s", "ed", "ing", ""]) + rng.choice(["", "", ",", "."]) for _ in range(n))
+    passage = " ".join(f"bench{i} item" for i in range(8))
+    texts = [prose(rng.randint(60, 140)) for _ in range(60)]
+    texts += [f"{texts[i]} {rng.choice(stems)}" for i in range(6)] + texts[:4]
+    texts += [f"{prose(50)} {passage} {prose(30)}" for _ in range(4)] + ["too short", "", None, "r s t " * 60]
+    texts += [" ".join(w + "###" for w in prose(80).split()) for _ in range(8)] + [prose(70) + " scum idiot trash scum" for _ in range(8)]
+    rows = [(i if i % 17 else None, t, "en", f"s{i % 3}", i, "x") for i, t in enumerate(texts)]
+    rows += [(2, prose(80), "en", "s", 1, "x"), rows[30], rows[30]]
+    for name, data, schema in (
+        ("documents", rows, "doc_id long, text string, lang string, source string, n_chars int, shard string"),
+        ("benchmark", [("q1", passage), ("q2", "nowhere to be found at all in this corpus of documents today")], "item_id string, text string"),
+        ("labels", [(i, int("###" not in (t or "")), int("scum" in (t or ""))) for i, t in enumerate(texts) if i % 2 == 0 or i > 70], "doc_id long, quality int, toxic int"),
+    ):
+        spark.createDataFrame(data, schema).write.parquet(f"{folder}/{name}.parquet")
+    return rows
+
+
+def test_pipeline_matches_brute_force(spark, tmp_path):
+    """Every stage on its own, by plain loops over all rows and pairs."""
+    import numpy as np
+    import public_tokenizers
+    import sentencepiece
+
+    import corpus_pipeline
+    from gradsift.llm import fertility
+    from tests.llm.test_rowwise import base_by_hand, hits_by_hand, windows_by_hand
+
+    rows = pipeline_tables(spark, tmp_path)
+    model = sentencepiece.SentencePieceProcessor(model_file=public_tokenizers.path(fertility.VOCABULARY))
+    band = fertility.LANGUAGES["en"]
+
+    def good(t):
+        n_words, chars, *_, failed = base_by_hand(t)
+        ids = [x for w in re.findall(BLANK, t or "") for x in model.encode(w)]
+        if failed or not ids:
+            return False
+        entropy = -sum(c / len(ids) * math.log2(c / len(ids)) for c in Counter(ids).values())
+        spread = entropy / math.log2(min(max(len(ids), 2), 2048))
+        return band.least_chars <= chars / len(ids) <= band.most_chars and sum(map(model.is_byte, ids)) / len(ids) <= band.most_bytes and spread >= band.least_spread
+
+    left = [r for r in rows if good(r[1])]
+    # near duplicates: the row of the smallest id of each component, null first
+    sets, root = [shingles(r[1]) for r in left], list(range(len(left)))
+
+    def find(x):
+        while root[x] != x:
+            x = root[x]
+        return x
+
+    for b in range(len(left)):
+        for a in range(b):
+            both = len(sets[a] & sets[b])
+            if 100 * both >= 80 * (len(sets[a]) + len(sets[b]) - both):
+                root[max(find(a), find(b))] = min(find(a), find(b))
+    members = defaultdict(list)
+    for i, r in enumerate(left):
+        members[find(i)].append(r)
+    hashes = {(r.doc_id, r.text): r.h for r in spark.createDataFrame([r[:2] for r in left], "doc_id long, text string").select("doc_id", "text", F.xxhash64("text").alias("h")).collect()}
+    left = [min(m, key=lambda r: (-(2**63) if r[0] is None else r[0], hashes[r[:2]])) for m in members.values()]
+    windows = windows_by_hand([("q1", rows_text) for rows_text in [" ".join(f"bench{i} item" for i in range(8))]] + [("q2", "nowhere to be found at all in this corpus of documents today")])
+    left = [r for r in left if not hits_by_hand(r[1], windows)[4]]
+
+    docs = spark.createDataFrame(left, "doc_id long, text string, lang string, source string, n_chars int, shard string")
+    labels = spark.read.parquet(f"{tmp_path}/labels.parquet")
+    w, b = mixing._model(docs, labels, "doc_id", "text")
+    n, p = [], []
+    for r in left:
+        raw = r[1].encode()
+        words, feature, doc = domains.features(np.frombuffer(raw, np.uint8), np.array([0, len(raw)]))
+        z = np.array([float(sum(w[f, k] for f in feature)) + float(b[k]) for k in range(3)])
+        e = np.exp(z - z.max())
+        n.append(len(re.findall(r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+", r[1])))
+        p.append(e / e.sum())
+    rate = rates_by_hand(np.array(n, float), np.array(p), mixing.TARGETS, 1.0)[0]
+    u = {r.doc_id: r.u for r in docs.select("doc_id", mixing.draw(F.col("doc_id")).alias("u")).collect()}
+    left = [r for r, x in zip(left, rate, strict=True) if u[r[0]] < x]
+
+    got = corpus_pipeline.run(spark, str(tmp_path)).collect()
+    key = lambda rows: sorted(rows, key=str)
+    assert key((r.doc_id, r.text_crc32) for r in got) == key((r[0], zlib.crc32(r[1].encode())) for r in left)
+    assert 40 < len(left) < len(rows) - 20 and any(r[0] is None for r in left)
+    counts = Counter(r.shard for r in got)
+    assert max(counts.values()) - min(counts.get(s, 0) for s in range(16)) <= 1
+
+
+def test_pipeline_stages_of_no_rows(spark, tmp_path):
+    import corpus_pipeline
+
+    pipeline_tables(spark, tmp_path)
+    docs = spark.read.parquet(f"{tmp_path}/documents.parquet")
+    for _, stage in corpus_pipeline.STAGES:
+        assert stage(spark, docs.where("false"), str(tmp_path)).count() == 0
