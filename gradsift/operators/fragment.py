@@ -47,12 +47,19 @@ def layer_fragments(manifest: DataFrame) -> DataFrame:
     return split_oversized(manifest, 1, stages=1)
 
 
-def tag(rows: DataFrame, fragments: DataFrame) -> DataFrame:
+def cell_width(n_g: int, fragments: int) -> int:
+    """Width of the stretches by which tag looks fragments up."""
+    return max(1, (n_g or 1) // (4 * max(1, fragments)))
+
+
+def tag(rows: DataFrame, fragments: DataFrame, width: int | None = None) -> DataFrame:
     """Add frag_id to rows with param_idx, by a broadcast hash join: the
     fragments are listed under every stretch of equal width that they touch,
-    at most 5 for each fragment on average, and a row looks up its stretch."""
-    got = fragments.agg(F.sum("size").alias("n_g"), F.count("*").alias("n")).first()
-    width = max(1, (got["n_g"] or 1) // (4 * max(1, got["n"])))
+    at most 5 for each fragment on average, and a row looks up its stretch.
+    width: cell_width of the model; where it is not given, it is asked for."""
+    if width is None:
+        got = fragments.agg(F.sum("size").alias("n_g"), F.count("*").alias("n")).first()
+        width = cell_width(got["n_g"], got["n"])
     cell = lambda c: c - F.pmod(c, F.lit(width))
     end = F.col("start") + F.col("size")
     listed = fragments.select("frag_id", F.col("start").alias("_a"), end.alias("_b"), F.explode(F.sequence(cell(F.col("start")), cell(end - 1), F.lit(width).cast("long"))).alias("_cell"))

@@ -12,8 +12,9 @@ from pyspark.sql.window import Window
 #: Costs are compared and added in millionths, as integers, so that sums and
 #: ties do not depend on the last bit of a logarithm.
 MICRO = 1_000_000
-#: Fragments up to which the fold is used; above, one task with a heap.
-FOLD_LIMIT = 20_000
+#: Fragments up to which the fold is used; above, one task with a heap. The
+#: number of fragments is the model's, and is known before the data are read.
+FOLD_LIMIT = 4096
 
 
 def fragment_costs(quotas: DataFrame, cost_model: str = "log") -> DataFrame:
@@ -59,14 +60,16 @@ def greedy_heap(costs: DataFrame, n_workers: int) -> DataFrame:
     return costs.select("frag_id", "cost").groupBy().applyInPandas(run, "bin int, frag_id int, cost double, pack_order int")
 
 
-def pack(costs: DataFrame, n_workers: int, policy: str = "greedy") -> DataFrame:
+def pack(costs: DataFrame, n_workers: int, policy: str = "greedy", fragments: int = 0) -> DataFrame:
     """Bins of the leader's fragments. policy: greedy by cost; size, greedy by
-    size; round_robin, equal numbers; contiguous, runs of fragments."""
+    size; round_robin, equal numbers; contiguous, runs of fragments.
+    fragments: their number, by which greedy packing folds or takes a heap."""
+    in_turn = greedy_heap if fragments > FOLD_LIMIT else greedy
     if policy == "size":
-        by_size = greedy(costs.select("frag_id", F.col("size").cast("double").alias("cost")), n_workers)
+        by_size = in_turn(costs.select("frag_id", F.col("size").cast("double").alias("cost")), n_workers)
         return by_size.drop("cost").join(costs.select("frag_id", "cost"), "frag_id").select("bin", "frag_id", "cost", "pack_order")
     if policy == "greedy":
-        return greedy(costs, n_workers)
+        return in_turn(costs, n_workers)
     n = F.count("*").over(Window.partitionBy())
     at = F.row_number().over(Window.orderBy("frag_id")) - 1
     bins = at % n_workers if policy == "round_robin" else F.floor(at * n_workers / n)

@@ -12,6 +12,20 @@ def assign(rows: DataFrame, key: str, n_workers: int, exact: bool = False) -> Da
     return rows.withColumn("worker", F.pmod(source, F.lit(n_workers)).cast("int"))
 
 
+def _number(key: str, batches: int, seed: int):
+    return F.pmod(F.xxhash64(F.lit(seed), F.col(key)), F.lit(batches))
+
+
+def numbered(rows: DataFrame, key: str, batches: int, seed: int = 42) -> DataFrame:
+    """Add batch, the number of the batch that a row belongs to."""
+    return rows.withColumn("batch", _number(key, batches, seed).cast("int"))
+
+
+def batch_of(rows: DataFrame, t: int, batches: int) -> DataFrame:
+    """The rows of iteration t, of numbered rows."""
+    return rows.where(F.col("batch") == t % batches)
+
+
 def batch(rows: DataFrame, key: str, t: int, batches: int, seed: int = 42) -> DataFrame:
     """The rows of batch t of `batches`, the same at any partitioning."""
-    return rows.where(F.pmod(F.xxhash64(F.lit(seed), F.col(key)), F.lit(batches)) == t % batches)
+    return rows.where(_number(key, batches, seed) == t % batches)

@@ -10,10 +10,10 @@ from dataclasses import dataclass
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
-from pyspark.sql.window import Window
 
 from gradsift.config import RunConfig
 from gradsift.operators import fragment, pack, quota, select
+from gradsift.sources.state import commit
 
 
 @dataclass(frozen=True)
@@ -28,27 +28,29 @@ class Selection:
 
 @dataclass(frozen=True)
 class Model:
-    """What selectors know of the model: layers, their fragments, length."""
+    """What selectors know of the model: layers, their fragments, length, and
+    the number of fragments."""
 
     manifest: DataFrame
     fragments: DataFrame
     n_g: int
+    n_fragments: int
 
     @classmethod
     def of(cls, manifest: DataFrame, cfg: RunConfig) -> Model:
         fragments = fragment.split_oversized(manifest, cfg.n_workers, cfg.stages)
-        return cls(manifest, fragments, manifest.agg(F.sum("size")).first()[0])
+        # sizes of the layers: as many as the model has, whatever the data
+        sizes = [r["size"] for r in manifest.select("size").collect()]
+        n, n_g = cfg.n_workers, sum(sizes)
+        pieces = [min(n, z) if cfg.stages == 2 and z * n > n_g else 1 for z in sizes]
+        return cls(manifest, fragments, n_g, sum(pieces) if cfg.stages else 1)
 
-
-_PICKS = ["worker", "param_idx", "v", "rank"]
+    def tag(self, rows: DataFrame) -> DataFrame:
+        """rows with frag_id."""
+        return fragment.tag(rows, self.fragments, fragment.cell_width(self.n_g, self.n_fragments))
 
 
-def _literal_topk(acc: DataFrame, group: str, k: int) -> DataFrame:
-    """Top k of each group for one k: the bound is a literal, so the planner
-    keeps only k rows of a group from every partition before the shuffle."""
-    select.allow_group_limit(acc.sparkSession, k)
-    order = Window.partitionBy(group).orderBy(F.desc(F.abs("v")), "param_idx")
-    return acc.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k)
+_PICKS = ["worker", "param_idx", "v", "rank"]
 
 
 class Sparsifier:
@@ -56,6 +58,8 @@ class Sparsifier:
 
     def __init__(self, cfg: RunConfig):
         self.cfg = cfg
+        #: called when it is known who searches what, before the search
+        self.planned = lambda: None
 
     def select(self, acc: DataFrame, model: Model, t: int) -> Selection:
         raise NotImplementedError
@@ -77,7 +81,8 @@ class GlobalTopK(Sparsifier):
 
     def select(self, acc: DataFrame, model: Model, t: int) -> Selection:
         k = self.cfg.resolve_k(model.n_g)
-        return Selection(_literal_topk(acc, "worker", k).select(*_PICKS), at_most=k * self.cfg.n_workers)
+        picks = select.topk_by_group(acc.withColumn("quota", F.lit(k)), ["worker"], F.abs("v"), "quota", self.cfg.kernel, k)
+        return Selection(picks.select(*_PICKS), at_most=k * self.cfg.n_workers)
 
 
 class CyclicTopK(Sparsifier):
@@ -87,9 +92,9 @@ class CyclicTopK(Sparsifier):
 
     def select(self, acc: DataFrame, model: Model, t: int) -> Selection:
         k = self.cfg.resolve_k(model.n_g)
-        led = acc.where(F.col("worker") == self.cfg.leader_of(t)).orderBy(F.desc(F.abs("v")), "param_idx").limit(k)
-        rank = F.row_number().over(Window.partitionBy("worker").orderBy(F.desc(F.abs("v")), "param_idx"))
-        return Selection(led.withColumn("rank", rank).select(*_PICKS), disjoint=True, at_most=k)
+        led = acc.where(F.col("worker") == self.cfg.leader_of(t)).withColumn("quota", F.lit(k))
+        picks = select.topk_by_group(led, ["worker"], F.abs("v"), "quota", self.cfg.kernel, k)
+        return Selection(picks.select(*_PICKS), disjoint=True, at_most=k)
 
 
 class Fragmented(Sparsifier):
@@ -102,16 +107,19 @@ class Fragmented(Sparsifier):
         """Quotas of every worker, bins of the leader, owner of fragments."""
         cfg, k = self.cfg, self.cfg.resolve_k(model.n_g)
         norms = quota.fragment_norms(acc, model.fragments, cfg.n_workers)
-        quotas = quota.assign(norms, k, cfg.rounding, cfg.cap, cfg.min_quota, cfg.quota_policy, cfg.refill)
+        # a row for each worker and fragment, asked for three times from here on
+        quotas = commit(quota.assign(norms, k, cfg.rounding, cfg.cap, cfg.min_quota, cfg.quota_policy, cfg.refill), "quotas")
         led = quotas.where(F.col("worker") == cfg.leader_of(t))
-        bins = pack.pack(pack.fragment_costs(led, cfg.cost_model), cfg.n_workers, cfg.pack_policy)
+        bins = commit(pack.pack(pack.fragment_costs(led, cfg.cost_model), cfg.n_workers, cfg.pack_policy, model.n_fragments), "bins")
+        self.planned()
         owner = pack.rotate(bins, t, cfg.n_workers)
         if cfg.quota_scope == "leader":
             quotas = owner.join(F.broadcast(led.drop("worker")), "frag_id").select(*quotas.columns)
         return quotas, bins, owner
 
-    def select(self, acc: DataFrame, model: Model, t: int) -> Selection:
-        quotas, bins, owner = self.plan(acc, model, t)
+    def select(self, acc: DataFrame, model: Model, t: int, seen: DataFrame | None = None) -> Selection:
+        """seen: what norms and quotas are taken of, if not the accumulator."""
+        quotas, bins, owner = self.plan(acc if seen is None else seen, model, t)
         k = self.cfg.resolve_k(model.n_g)
         # no quota exceeds k or the minimum, which bounds every group
         picks = select.layerwise(acc, quotas, owner, self.cfg.kernel, max(k, self.cfg.min_quota))
@@ -128,7 +136,7 @@ class EqualSlices(Sparsifier):
         cut = F.floor(F.col("param_idx") * n / F.lit(model.n_g)).cast("int")
         own = acc.withColumn("slice", cut).where(F.col("slice") == F.pmod(F.col("worker") + F.lit(t % n), F.lit(n)))
         own = own.withColumn("quota", F.lit(k // n) + (F.col("slice") < k % n).cast("int"))
-        picks = select.topk_by_group(own, ["slice"], F.abs("v"), "quota", self.cfg.kernel)
+        picks = select.topk_by_group(own, ["slice"], F.abs("v"), "quota", self.cfg.kernel, -(-k // n))
         return Selection(picks.select(*_PICKS), disjoint=True, at_most=k)
 
 

@@ -9,21 +9,35 @@ from pyspark.sql import DataFrame, SparkSession
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """spark.checkpoint.dir of the session; a temporary folder where unset."""
+    """spark.checkpoint.dir of the session. Where it is unset, a temporary
+    folder, on one machine only: executors elsewhere could not read it."""
     named = spark.conf.get("spark.checkpoint.dir", None)
     if named:
         return named.rstrip("/")
     if not spark.sparkContext.getCheckpointDir():
+        if not spark.sparkContext.master.startswith("local"):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that all executors share")
         spark.sparkContext.setCheckpointDir("file://" + tempfile.mkdtemp(prefix="gradsift-"))
     return spark.sparkContext.getCheckpointDir().rstrip("/")
 
 
-def commit(df: DataFrame, label: str) -> DataFrame:
+def commit(df: DataFrame, label: str, by: str | None = None) -> DataFrame:
     """df, written to the shared folder and read again: the iteration's
-    boundary. A lost executor recomputes no earlier iteration."""
+    boundary. A lost executor recomputes no earlier iteration. by: a column
+    of few values, each of which gets a folder of its own."""
     path = f"{shared_dir(df.sparkSession)}/{label}-{uuid.uuid4().hex}"
-    df.write.parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
+    (df.write.partitionBy(by) if by else df.write).parquet(path)
+    got = df.sparkSession.read.schema(df.schema).parquet(path)
+    got.committed_at = path
+    return got
+
+
+def discard(*tables: DataFrame | None) -> None:
+    """Delete committed tables that nothing reads any more."""
+    for df in tables:
+        path = getattr(df, "__dict__", {}).pop("committed_at", None)
+        if path:
+            _delete(df.sparkSession, path)
 
 
 def write_state(df: DataFrame, path: str, iteration: int) -> None:
@@ -36,8 +50,12 @@ def read_state(spark: SparkSession, path: str, iteration: int) -> DataFrame:
 
 
 def drop_iteration(spark: SparkSession, path: str, iteration: int) -> None:
-    jvm = spark._jvm
-    p = jvm.org.apache.hadoop.fs.Path(f"{path}/iteration={iteration}")
+    """Delete version `iteration` of a state table."""
+    _delete(spark, f"{path}/iteration={iteration}")
+
+
+def _delete(spark: SparkSession, path: str) -> None:
+    p = spark._jvm.org.apache.hadoop.fs.Path(path)
     p.getFileSystem(spark._jsc.hadoopConfiguration()).delete(p, True)
 
 

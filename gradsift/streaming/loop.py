@@ -18,7 +18,7 @@ from pyspark.sql.streaming import StreamingQuery
 from gradsift.config import RunConfig
 from gradsift.operators import exchange, feedback, fragment
 from gradsift.operators.sparsifiers import SPARSIFIERS, Model
-from gradsift.sources import read_state, write_state
+from gradsift.sources import commit, discard, read_state, write_state
 
 EVENTS = T.StructType(
     [T.StructField("event_id", T.LongType()), T.StructField("ts", T.TimestampType()), T.StructField("user_id", T.LongType()), T.StructField("event_type", T.StringType()), T.StructField("value", T.DoubleType()), T.StructField("props", T.StringType())]
@@ -78,13 +78,14 @@ class OnlineTrainer:
         cfg, model = self.cfg, self.model(spark)
         params, error = read_state(spark, f"{self.path}/params", t), read_state(spark, f"{self.path}/error", t)
         grads = gradients(batch, params.withColumnRenamed("value", "value_p"), cfg.n_workers)
-        acc = fragment.tag(feedback.accumulate(error, grads, cfg.lr_at(t), cfg.lr_mode), model.fragments)
+        acc = commit(model.tag(feedback.accumulate(error, grads, cfg.lr_at(t), cfg.lr_mode)), "acc")
         chosen = SPARSIFIERS[self.name](cfg).select(acc, model, t)
         indices = None if chosen.picks is None else exchange.union_indices(chosen.picks, chosen.disjoint)
         mean = exchange.average(acc, indices, cfg.n_workers, chosen.at_most)
         # the error first: a batch counts as done once its params are there
         write_state(feedback.residual(acc, indices), f"{self.path}/error", t + 1)
         write_state(exchange.apply_update(params, mean, cfg.lr_at(t), cfg.lr_mode), f"{self.path}/params", t + 1)
+        discard(acc, chosen.quotas)
 
 
 def read_events(spark: SparkSession, path: str, files_per_trigger: int = 1) -> DataFrame:

@@ -67,6 +67,7 @@ def test_dataframe_operators_equal_the_numpy_form(spark, seed):
     manifest = fragment.build_manifest(spark, [(f"l{i}", s) for i, s in enumerate(sizes)])
     model = Model.of(manifest, cfg)
     frags = simulate.fragments(sizes, n)
+    assert (model.n_g, model.n_fragments) == (sum(sizes), len(frags))
     assert [(a, s) for _, a, s in rows_of(model.fragments, "frag_id", "start", "size")] == frags
     rows = fragment.tag(as_df(spark, acc), model.fragments)
     assert rows_of(rows, "worker", "param_idx", "frag_id") == rows_of(fragment.tag_by_range(as_df(spark, acc), model.fragments), "worker", "param_idx", "frag_id")
@@ -79,7 +80,7 @@ def test_dataframe_operators_equal_the_numpy_form(spark, seed):
 
 def test_fragments_tile_the_vector_and_respect_the_bound():
     rng = random.Random(1)
-    for _ in range(300):
+    for _ in range(5000):
         n = rng.choice([1, 2, 3, 4, 8, 16])
         sizes = [rng.randint(1, 300) for _ in range(rng.randint(1, 15))]
         frags, total = simulate.fragments(sizes, n), sum(sizes)
@@ -131,11 +132,29 @@ def test_kernels_agree(spark, kernel, monkeypatch):
     assert pick(kernel) == pick("window")
 
 
+def test_large_quotas_are_cut_by_buckets(spark, monkeypatch):
+    """Beyond the planner's limit the histogram takes over, and no session
+    setting changes."""
+    name = "spark.sql.optimizer.windowGroupLimitThreshold"
+    before = spark.conf.get(name, None)
+    rng = random.Random(6)
+    rows = [(g, i, rng.choice([0.0, 2.0**rng.randint(-40, 40), -(2.0 ** rng.randint(-3, 3)), rng.gauss(0, 1)])) for g in range(3) for i in range(900)]
+    df = spark.createDataFrame(rows, "worker int, param_idx long, v double").withColumn("quota", F.lit(300))
+    plain = rows_of(select.topk_by_group(df, ["worker"], F.abs("v"), "quota", most=300), "worker", "param_idx", "rank")
+    monkeypatch.setattr(select, "PLANNER_LIMIT", 100)
+    large = select.topk_by_group(df, ["worker"], F.abs("v"), "quota", most=300)
+    assert rows_of(large, "worker", "param_idx", "rank") == plain and len(plain) == 900
+    order = sorted((r for r in rows if r[0] == 1), key=lambda r: (-abs(r[2]), r[1]))
+    assert [i for g, i, _ in sorted(plain, key=lambda r: (r[0], r[2])) if g == 1] == [i for _, i, _ in order[:300]]
+    assert spark.conf.get(name, None) == before
+
+
 def test_packing_fold_and_heap_agree(spark):
     rng = random.Random(4)
     costs = spark.createDataFrame([(i, rng.choice([0.0, 1.5, rng.random() * 100])) for i in range(60)], "frag_id int, cost double")
     for n in (1, 3, 8):
-        assert rows_of(pack.greedy(costs, n), "frag_id", "bin", "pack_order") == rows_of(pack.greedy_heap(costs, n), "frag_id", "bin", "pack_order")
+        folded = rows_of(pack.pack(costs, n, fragments=60), "frag_id", "bin", "pack_order")
+        assert folded == rows_of(pack.pack(costs, n, fragments=pack.FOLD_LIMIT + 1), "frag_id", "bin", "pack_order")
 
 
 def test_rotation_gives_every_worker_every_bin_once(spark):
