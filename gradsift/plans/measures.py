@@ -156,6 +156,12 @@ def quota_dispersion(quotas: DataFrame) -> DataFrame:
     return quotas.groupBy("frag_id").agg(F.min("quota").alias("least"), F.max("quota").alias("most"), F.stddev_pop("quota").alias("sd"))
 
 
+def off_k(costs: DataFrame, k: int) -> DataFrame:
+    """What all workers pick together, and its distance from k in shares of
+    k; costs as of worker_costs."""
+    return costs.agg(F.sum("picks").alias("picks")).select("picks", (F.abs(F.col("picks") - F.lit(k)) / F.lit(k)).alias("off"))
+
+
 def layer_share(picks: DataFrame, fragments: DataFrame) -> DataFrame:
     """Share of all picks that falls on each layer; picks with iteration."""
     by = picks.join(F.broadcast(fragments.select("frag_id", "layer_id")), "frag_id").groupBy("iteration", "layer_id").agg(F.count("*").alias("picks"))

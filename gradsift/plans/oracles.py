@@ -176,7 +176,7 @@ def _balance(policy: str) -> str:
 POLICIES = ("greedy", "round_robin", "contiguous", "size")
 
 
-def _train(name: str, iterations: int = 3) -> str:
+def _train(name: str, iterations: int = 3, feedback: bool = True, rates: tuple[float, ...] = ()) -> str:
     """Iterations unrolled: parameters, rows' residuals, accumulators,
     selection, mean and residual of each under its own suffix."""
     steps = [model(), k_of(DENSITY), fragments(N), line_rows(N)]
@@ -184,8 +184,8 @@ def _train(name: str, iterations: int = 3) -> str:
     for t in range(iterations):
         joins = " ".join(f"JOIN pa{t} p{c} ON p{c}.param_idx = rw.{c}" for c in "pcsmb")
         steps.append(f"rr{t} AS MATERIALIZED (SELECT worker, p, c, s, m, b, pp.value + pc.value + ps.value + pm.value + pb.value - q AS e FROM rw {joins})")
-        before = f" UNION ALL SELECT worker, param_idx, v AS r FROM er{t - 1}" if t else ""
-        terms = _terms(f"rr{t}", f"e * {RATE!r}")
+        before = f" UNION ALL SELECT worker, param_idx, v AS r FROM er{t - 1}" if t and feedback else ""
+        terms = _terms(f"rr{t}", f"e * {rates[t] if rates else RATE!r}")
         steps.append(f"ac{t} AS MATERIALIZED (SELECT worker, param_idx, sum(r) AS v FROM ({terms}{before}) GROUP BY ALL)")
         leader, s = t % N, f"{t}"
         if name == "fragmented":
@@ -197,7 +197,8 @@ def _train(name: str, iterations: int = 3) -> str:
             steps.append(f"ix{t} AS MATERIALIZED (SELECT DISTINCT param_idx FROM ({top(source, 'worker', K)}))")
         steps.append(f"mn{t} AS (SELECT param_idx, sum(v) / {N} AS mean FROM ac{t} WHERE param_idx IN (SELECT param_idx FROM ix{t}) GROUP BY param_idx)")
         steps.append(f"pa{t + 1} AS MATERIALIZED (SELECT param_idx, value - coalesce(mean, 0) AS value FROM pa{t} LEFT JOIN mn{t} USING (param_idx))")
-        steps.append(f"er{t} AS MATERIALIZED (SELECT worker, param_idx, v FROM ac{t} WHERE param_idx NOT IN (SELECT param_idx FROM ix{t}) AND v <> 0)")
+        kept = f"param_idx NOT IN (SELECT param_idx FROM ix{t}) AND v <> 0" if feedback else "FALSE"
+        steps.append(f"er{t} AS MATERIALIZED (SELECT worker, param_idx, v FROM ac{t} WHERE {kept})")
     joins = lambda t: " ".join(f"JOIN pa{t} p{c} ON p{c}.param_idx = rw.{c}" for c in "pcsmb")
     one = lambda t: (
         f"SELECT {t} AS iteration, (SELECT count(*) FROM ix{t}) AS selected, round(coalesce((SELECT sum(n) / {N} FROM (SELECT sqrt(sum(v * v)) AS n FROM er{t} GROUP BY worker)), 0), 6) AS error, "
@@ -325,4 +326,17 @@ for _kernel in ("two_phase", "threshold", "arrow"):
     ORACLE[f"picks_fragmented_{_kernel}"] = ORACLE["picks_fragmented"]
 for _name in ("fragmented", "global_topk", "cyclic_topk", "dense"):
     ORACLE[f"train3_{_name}"] = _train(_name)
+ORACLE["train3_no_feedback"] = _train("fragmented", feedback=False)
+ORACLE["train3_decay"] = _train("fragmented", rates=(RATE, RATE, RATE / 4))
+ORACLE["comm_cost_cyclic_by_n"] = with_(model(), k_of(DENSITY)) + f"SELECT CAST(n AS INTEGER) AS n, {K} AS kappa, round(ln(n) * 1e-5 + 2 * (n - 1) * 1e-9 * {K}, 12) AS seconds FROM (SELECT unnest({list(SWEEP)}) AS n)"
+ORACLE["set_density"] = with_(model(), k_of(DENSITY)) + f"SELECT {K} AS k, round({K} / n_g, 9) AS density, round(n_g / {K}, 6) AS ratio FROM tot"
+ORACLE["quota_off_k_by_n"] = _each_n(lambda n, s: f"SELECT {n} AS n, CAST(sum(picks) AS BIGINT) AS picks, round(abs(sum(picks) - {K}) / {K}, 6) AS off FROM wc{s}", _plan_steps)
+ORACLE["fragments_by_stages"] = (
+    with_(model()) + "SELECT 0 AS stages, 0 AS frag_id, -1 AS layer_id, 0 AS piece, CAST(0 AS BIGINT) AS start, n_g AS size FROM tot UNION ALL SELECT 1, layer_id, layer_id, 0, start, size FROM man"
+)
+ORACLE["picks_repeated"] = (
+    with_(*upto("picks"), f"gp AS ({top('gr', 'worker', K)})")
+    + "SELECT 'fragmented' AS sparsifier, (SELECT count(*) FROM (SELECT param_idx FROM pk GROUP BY param_idx HAVING count(*) > 1)) AS repeated UNION ALL SELECT 'global_topk', (SELECT count(*) FROM (SELECT param_idx FROM gp GROUP BY param_idx HAVING count(*) > 1))"
+)
+ORACLE["random_k_shape"] = with_(model(), k_of(DENSITY)) + f"SELECT {K} AS drawn, {K} AS indices, TRUE AS inside, TRUE AS unlike"
 ORACLE["moving_error"] = f"SELECT iteration, round(error - lag(error) OVER (ORDER BY iteration), 5) AS change, round(avg(error) OVER (ORDER BY iteration ROWS BETWEEN 1 PRECEDING AND CURRENT ROW), 5) AS smoothed FROM ({_train('fragmented')})"

@@ -4,16 +4,19 @@ from __future__ import annotations
 
 import math
 from collections.abc import Callable
+from dataclasses import replace
+from functools import cached_property
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
+from gradsift import checks
 from gradsift.config import RunConfig
 from gradsift.operators import exchange, feedback, fragment, pack, quota, select
 from gradsift.operators.sparsifiers import SPARSIFIERS, Fragmented, Model
 from gradsift.plans import measures, train
-from gradsift.sources import load
+from gradsift.sources import commit, load
 from gradsift.workloads.additive import Additive
 
 N = 4
@@ -31,21 +34,22 @@ def query(f: Query) -> Query:
 
 
 class Additive0:
-    """The additive workload at its start model, for one number of workers."""
+    """The additive workload at its start model, for one number of workers.
+    What several operators of a query read is written once."""
 
-    def __init__(self, spark: SparkSession, sf_dir: str, n: int = N, density: float = DENSITY, **options):
-        self.spark, self.cfg = spark, RunConfig(n_workers=n, density=density, **options)
-        self.workload = Additive.load(spark, sf_dir, n)
+    def __init__(self, spark: SparkSession, sf_dir: str, n: int = N, density: float = DENSITY, sweep: Sweep | None = None, **options):
+        self.spark, self.cfg, self.sweep = spark, RunConfig(n_workers=n, density=density, **options), sweep
+        self.workload = replace(sweep.workload, n_workers=n) if sweep else Additive.load(spark, sf_dir, n)
         self.model = Model.of(self.workload.manifest(spark), self.cfg)
         self.k = self.cfg.resolve_k(self.model.n_g)
 
     @property
     def grads(self) -> DataFrame:
-        return self.workload.first_gradients()
+        return self.sweep.gradients(self.cfg.n_workers) if self.sweep else self.workload.first_gradients()
 
-    @property
+    @cached_property
     def acc(self) -> DataFrame:
-        return fragment.tag(self.grads, self.model.fragments)
+        return commit(self.model.tag(self.grads), "acc")
 
     @property
     def norms(self) -> DataFrame:
@@ -58,6 +62,18 @@ class Additive0:
         return quotas.where(F.col("worker") == self.cfg.leader_of(t))
 
 
+class Sweep:
+    """Gradients of the largest number of workers, written once. Every number
+    of the sweep divides it, so a worker's gradient is a sum of some of them."""
+
+    def __init__(self, spark: SparkSession, sf_dir: str):
+        self.workload = Additive.load(spark, sf_dir, max(SWEEP))
+        self.finest = commit(self.workload.first_gradients(), "finest")
+
+    def gradients(self, n: int) -> DataFrame:
+        return self.finest.groupBy(F.pmod("worker", F.lit(n)).cast("int").alias("worker"), "param_idx").agg(F.sum("v").alias("v"))
+
+
 @query
 def manifest_additive(spark: SparkSession, sf_dir: str) -> DataFrame:
     return Additive.load(spark, sf_dir, N).manifest(spark)
@@ -259,8 +275,10 @@ def _by_n(one: Callable[[int], DataFrame], sweep: tuple[int, ...] = SWEEP) -> Da
 def buildup_by_n(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Union of the global top-k in units of k, at density 0.01."""
 
+    sweep = Sweep(spark, sf_dir)
+
     def one(n: int) -> DataFrame:
-        s = Additive0(spark, sf_dir, n, 0.01)
+        s = Additive0(spark, sf_dir, n, 0.01, sweep)
         picks = SPARSIFIERS["global_topk"](s.cfg).select(s.grads, s.model, 0).picks
         return measures.build_up(picks, s.k).select("selected", F.round("build_up", 6).alias("build_up"))
 
@@ -270,9 +288,8 @@ def buildup_by_n(spark: SparkSession, sf_dir: str) -> DataFrame:
 @query
 def density_by_sparsifier(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Selected indices and actual density of every selector, 16 workers."""
-    out = None
+    out, s = None, Additive0(spark, sf_dir, 16, 0.01)
     for name in ("global_topk", "cyclic_topk", "fragmented", "equal_slices"):
-        s = Additive0(spark, sf_dir, 16, 0.01)
         rows = measures.actual_density(SPARSIFIERS[name](s.cfg).select(s.acc, s.model, 0).picks, s.model.n_g)
         rows = rows.select(F.lit(name).alias("sparsifier"), "selected", F.round("density", 9).alias("density"))
         out = rows if out is None else out.unionByName(rows)
@@ -290,8 +307,8 @@ def jaccard_pairs(spark: SparkSession, sf_dir: str) -> DataFrame:
     return got.select("a", "b", "both", F.round("jaccard", 6).alias("jaccard"))
 
 
-def _costs(spark: SparkSession, sf_dir: str, n: int, policy: str = "greedy") -> tuple[Additive0, DataFrame, DataFrame]:
-    s = Additive0(spark, sf_dir, n, pack_policy=policy)
+def _costs(spark: SparkSession, sf_dir: str, n: int, sweep: Sweep, policy: str = "greedy") -> tuple[Additive0, DataFrame, DataFrame]:
+    s = Additive0(spark, sf_dir, n, sweep=sweep, pack_policy=policy)
     quotas, bins, owner = Fragmented(s.cfg).plan(s.acc, s.model, 0)
     return s, measures.worker_costs(quotas, owner, n), bins
 
@@ -299,9 +316,10 @@ def _costs(spark: SparkSession, sf_dir: str, n: int, policy: str = "greedy") ->
 @query
 def cost_report_by_n(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Model cost, speed-ups and the most that one worker sends, by n."""
+    sweep = Sweep(spark, sf_dir)
 
     def one(n: int) -> DataFrame:
-        s, costs, _ = _costs(spark, sf_dir, n)
+        s, costs, _ = _costs(spark, sf_dir, n, sweep)
         whole = measures.global_cost(s.k, s.model.n_g)
         trivial = measures.trivial_speedup(n, s.k)
         got = measures.selection_cost(costs)
@@ -327,9 +345,10 @@ def trivial_speedup_grid(spark: SparkSession, sf_dir: str) -> DataFrame:
 @query
 def comm_cost_by_n(spark: SparkSession, sf_dir: str, alpha: float = 1e-5, beta: float = 1e-9) -> DataFrame:
     """Modelled exchange time of the global and of the fragmented scheme."""
+    sweep = Sweep(spark, sf_dir)
 
     def one(n: int) -> DataFrame:
-        s, costs, _ = _costs(spark, sf_dir, n)
+        s, costs, _ = _costs(spark, sf_dir, n, sweep)
         time = lambda kappa: F.round(F.lit(math.log(n) * alpha) + F.lit(2 * (n - 1) * beta) * kappa, 12)
         return measures.selection_cost(costs).select(F.lit(s.k).cast("long").alias("kappa_global"), F.col("kappa").cast("long").alias("kappa"), time(F.lit(s.k)).alias("seconds_global"), time(F.col("kappa")).alias("seconds"))
 
@@ -338,19 +357,78 @@ def comm_cost_by_n(spark: SparkSession, sf_dir: str, alpha: float = 1e-5, beta:
 
 @query
 def payload_by_n(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return _by_n(lambda n: measures.payload_bytes(_costs(spark, sf_dir, n)[2]))
+    sweep = Sweep(spark, sf_dir)
+    return _by_n(lambda n: measures.payload_bytes(_costs(spark, sf_dir, n, sweep)[2]))
 
 
 @query
 def balance_by_policy(spark: SparkSession, sf_dir: str) -> DataFrame:
-    out = None
+    out, sweep = None, Sweep(spark, sf_dir)
     for policy in ("greedy", "round_robin", "contiguous", "size"):
-        b = measures.balance(_costs(spark, sf_dir, N, policy)[1])
+        b = measures.balance(_costs(spark, sf_dir, N, sweep, policy)[1])
         b = b.select(F.lit(policy).alias("policy"), *[F.round(c, 4).alias(c) for c in ("cost_ratio", "picks_ratio")], "least_fragments", "most_fragments")
         out = b if out is None else out.unionByName(b)
     return out
 
 
+@query
+def comm_cost_cyclic_by_n(spark: SparkSession, sf_dir: str, alpha: float = 1e-5, beta: float = 1e-9) -> DataFrame:
+    """Modelled exchange time of the cyclic leader: its k indices are all that
+    is sent, as with global top-k, and the values at them."""
+    k = max(1, math.floor(DENSITY * Additive.load(spark, sf_dir, N).n_g + 0.5))
+    rows = [(n, k, round(measures.comm_cost(n, k, alpha, beta), 12)) for n in SWEEP]
+    return spark.createDataFrame(rows, "n int, kappa long, seconds double")
+
+
+@query
+def set_density(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """k, set density and compression ratio."""
+    n_g = Additive.load(spark, sf_dir, N).n_g
+    k = max(1, math.floor(DENSITY * n_g + 0.5))
+    density, ratio = measures.density_of(k, n_g)
+    return spark.createDataFrame([(k, round(density, 9), round(ratio, 6))], "k long, density double, ratio double")
+
+
+@query
+def quota_off_k_by_n(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """How far the quotas of all owners together are off k, in shares of k."""
+    sweep = Sweep(spark, sf_dir)
+
+    def one(n: int) -> DataFrame:
+        s, costs, _ = _costs(spark, sf_dir, n, sweep)
+        return measures.off_k(costs, s.k).select(F.col("picks").cast("long").alias("picks"), F.round("off", 6).alias("off"))
+
+    return _by_n(one)
+
+
+@query
+def fragments_by_stages(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """One fragment, and one a layer: the stages that are left out."""
+    manifest = Additive.load(spark, sf_dir, N).manifest(spark)
+    whole, layers = (fragment.split_oversized(manifest, N, stages) for stages in (0, 1))
+    return whole.select(F.lit(0).alias("stages"), "*").unionByName(layers.select(F.lit(1).alias("stages"), "*"))
+
+
+@query
+def picks_repeated(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Indices that two workers picked: none in the fragmented scheme, many
+    in global top-k."""
+    s = Additive0(spark, sf_dir)
+    rows = [(name, checks.repeated_picks(SPARSIFIERS[name](s.cfg).select(s.acc, s.model, 0).picks)) for name in ("fragmented", "global_topk")]
+    return spark.createDataFrame(rows, "sparsifier string, repeated long")
+
+
+@query
+def random_k_shape(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Number, distinct number and range of indices drawn at random, and
+    whether two iterations draw unlike ones."""
+    s = Additive0(spark, sf_dir)
+    first, second = (SPARSIFIERS["random_k"](s.cfg).select(s.acc, s.model, t).picks.select("param_idx") for t in (0, 1))
+    both = first.intersect(second).agg((F.count("*") < s.k).alias("unlike"))
+    got = first.agg(F.count("*").alias("drawn"), F.count_distinct("param_idx").alias("indices"), ((F.min("param_idx") >= 0) & (F.max("param_idx") < s.model.n_g)).alias("inside"))
+    return got.join(F.broadcast(both), how="cross")
+
+
 @query
 def idle_by_n(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.createDataFrame([(n, round(measures.idle_share(n), 6)) for n in SWEEP], "n int, idle double")
@@ -384,8 +462,8 @@ def quota_dispersion(spark: SparkSession, sf_dir: str) -> DataFrame:
     return measures.quota_dispersion(Additive0(spark, sf_dir).quotas()).withColumn("sd", F.round("sd", 6))
 
 
-def train_metrics(spark: SparkSession, sf_dir: str, name: str, iterations: int = 3) -> DataFrame:
-    cfg = RunConfig(n_workers=N, density=DENSITY, lr=RATE)
+def train_metrics(spark: SparkSession, sf_dir: str, name: str, iterations: int = 3, **options) -> DataFrame:
+    cfg = RunConfig(n_workers=N, density=DENSITY, lr=RATE, **options)
     result = train.run(Additive.load(spark, sf_dir, N), name, cfg, spark, iterations)
     got = result.metrics_df(spark).groupBy("iteration").pivot("metric", ["selected", "error", "rmse"]).agg(F.first("value"))
     return got.select("iteration", F.col("selected").cast("long").alias("selected"), F.round("error", 6).alias("error"), F.round("rmse", 6).alias("rmse"))
@@ -395,6 +473,18 @@ for _name in ("fragmented", "global_topk", "cyclic_topk", "dense"):
     QUERIES[f"train3_{_name}"] = lambda spark, sf_dir, name=_name: train_metrics(spark, sf_dir, name)
 
 
+@query
+def train3_no_feedback(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """What is not sent is lost."""
+    return train_metrics(spark, sf_dir, "fragmented", error_feedback=False)
+
+
+@query
+def train3_decay(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The rate falls to a quarter before the third iteration."""
+    return train_metrics(spark, sf_dir, "fragmented", decay_steps=(2,), gamma=0.25)
+
+
 @query
 def metrics_cube(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Picks by worker and layer, with all totals."""
@@ -517,7 +607,7 @@ def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
     fragmented selection."""
     s = Additive0(spark, sf_dir)
     quotas, bins, owner = Fragmented(s.cfg).plan(s.acc, s.model, 0)
-    picks = select.layerwise(s.acc, quotas, owner)
+    picks = select.layerwise(s.acc, quotas, owner, most=s.k)
     got = picks.groupBy("worker").agg(F.count("*").alias("picked"))
     costs = measures.worker_costs(quotas, owner, N)
     share = F.col("picked") / F.lit(s.model.n_g)
@@ -532,32 +622,72 @@ def moving_error(spark: SparkSession, sf_dir: str) -> DataFrame:
     return got.select("iteration", F.round(F.col("error") - F.lag("error").over(w), 5).alias("change"), F.round(F.avg("error").over(w.rowsBetween(-1, 0)), 5).alias("smoothed"))
 
 
-# -- training of nets: no SQL, short runs ---------------------------------------------
+# -- training of nets: no SQL -----------------------------------------------------------
+
+
+def _summed(rows: DataFrame, last: int) -> DataFrame:
+    from gradsift.plans import experiments
+
+    got = experiments.summary(rows, last)
+    return got.select("run", "sparsifier", "n", "density", "metric", *[F.round(c, 5).alias(c) for c in ("late_mean", "most", "least", "final")])
 
 
 def _trained(experiment: str, iterations: int, *args) -> Query:
     def run(spark: SparkSession, sf_dir: str) -> DataFrame:
         from gradsift.plans import experiments
 
-        rows = getattr(experiments, experiment)(spark, sf_dir, *args, iterations=iterations)
-        if experiment == "breakdown":
-            return rows.select("sparsifier", "phase", (F.col("ms") >= 0).alias("measured"))
-        got = experiments.summary(rows.where("metric not like 'ms_%'"), last=5)
-        return got.select("run", "sparsifier", "n", "density", "metric", *[F.round(c, 5).alias(c) for c in ("late_mean", "most", "least", "final")])
+        return _summed(getattr(experiments, experiment)(spark, sf_dir, *args, iterations=iterations), max(1, iterations // 4))
 
     return run
 
 
-#: Experiment queries; gradsift.plans.experiments runs them at any length.
+def experiment_convergence(spark: SparkSession, sf_dir: str, iterations: int = 16) -> DataFrame:
+    """When each run on language identification comes near the dense one."""
+    from gradsift.plans import experiments
+
+    rows = experiments.compare(spark, sf_dir, "langid", iterations, 2)
+    got = experiments.convergence(rows, "accuracy", 0.05)
+    return got.select("run", *[F.round(c, 5).alias(c) for c in ("final", "best", "gap")], "reached")
+
+
+def experiment_decay(spark: SparkSession, sf_dir: str, iterations: int = 12) -> DataFrame:
+    """Mean error before and after the rate falls to a tenth."""
+    from gradsift.plans import experiments
+
+    got = experiments.before_and_after(experiments.decay(spark, sf_dir, iterations=iterations), 2 * iterations // 3)
+    return got.select("run", *[F.round(c, 6).alias(c) for c in ("before", "after")])
+
+
+def experiment_breakdown(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Milliseconds by phase on the language model, mean of four seeds."""
+    from gradsift.plans import experiments
+
+    got = experiments.breakdown(spark, sf_dir, iterations=2)
+    return got.select("sparsifier", "phase", F.round("ms", 3).alias("ms"), F.round("partition_share", 5).alias("partition_share"))
+
+
+def experiment_speedup_by_n(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Wall time of the slowest worker's search by number of workers."""
+    from gradsift.plans import experiments
+
+    return experiments.selection_time(spark).select("n", F.round("ms", 4).alias("ms"), F.round("speedup", 3).alias("speedup"))
+
+
+#: Experiment queries, over whole tables; gradsift.plans.experiments runs them
+#: at any length.
 TRAINED: dict[str, Query] = {
-    "experiment_langid": _trained("compare", 20, "langid"),
-    "experiment_charlm": _trained("compare", 3, "charlm"),
+    "experiment_langid": _trained("compare", 8, "langid"),
+    "experiment_charlm": _trained("compare", 6, "charlm"),
     "experiment_recommend": _trained("compare", 5, "recommend"),
-    "experiment_vectors": _trained("compare", 20, "vectors"),
-    "experiment_equal_density": _trained("equal_density", 20, "langid"),
-    "experiment_density_sweep": _trained("density_sweep", 3, "charlm"),
-    "experiment_scale_sweep": _trained("scale_sweep", 10, "langid"),
-    "experiment_breakdown": _trained("breakdown", 2, "langid"),
-    "experiment_ablations": _trained("ablate", 20, "langid"),
+    "experiment_vectors": _trained("compare", 4, "vectors"),
+    "experiment_equal_density": _trained("equal_density", 4),
+    "experiment_density_sweep": _trained("density_sweep", 5, "charlm"),
+    "experiment_scale_sweep": _trained("scale_sweep", 4),
+    "experiment_buildup": _trained("buildup", 3),
+    "experiment_ablations": _trained("ablate", 4, "langid"),
+    "experiment_convergence": experiment_convergence,
+    "experiment_decay": experiment_decay,
+    "experiment_breakdown": experiment_breakdown,
+    "experiment_speedup_by_n": experiment_speedup_by_n,
 }
 QUERIES |= TRAINED

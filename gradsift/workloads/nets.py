@@ -8,11 +8,16 @@ a replica, so the parameters of a net fit a worker by construction.
 
 from __future__ import annotations
 
+from collections.abc import Callable
 from dataclasses import dataclass
 
 import numpy as np
 
 
+def _unmarked() -> None:
+    pass
+
+
 @dataclass(frozen=True)
 class Net:
     layers: tuple[tuple[str, tuple[int, ...]], ...]
@@ -37,7 +42,9 @@ class Net:
         parts = [np.zeros(shape) if len(shape) == 1 else rng.normal(0, 1 / np.sqrt(shape[0] if not name.startswith("embed") else shape[1]), shape) for name, shape in self.layers]
         return np.concatenate([p.reshape(-1) for p in parts])
 
-    def loss(self, flat: np.ndarray, batch: tuple) -> tuple[float, np.ndarray]:
+    def loss(self, flat: np.ndarray, batch: tuple, mark: Callable[[], None] = _unmarked) -> tuple[float, np.ndarray]:
+        """Mean loss of a batch and its gradient; mark is called between the
+        forward and the backward pass."""
         raise NotImplementedError
 
 
@@ -70,10 +77,11 @@ class Perceptron(Net):
             seen.append(x)
         return parts, seen
 
-    def loss(self, flat, batch):
+    def loss(self, flat, batch, mark=_unmarked):
         x, y = batch
         parts, seen = self._forward(flat, x)
         nll, d = softmax_loss(seen[-1], y)
+        mark()
         grads = []
         for i in range(len(parts) - 2, -1, -2):
             grads = [seen[i // 2].T @ d, d.sum(axis=0), *grads]
@@ -96,7 +104,20 @@ class Recurrent(Net):
             layers += [(f"x_{g}", (embed, hidden)), (f"h_{g}", (hidden, hidden)), (f"b_{g}", (hidden,))]
         super().__init__((*layers, ("out", (hidden, symbols)), ("out_b", (symbols,))))
 
-    def loss(self, flat, batch):
+    def nll(self, flat: np.ndarray, s: np.ndarray, y: np.ndarray) -> float:
+        """Mean negative log likelihood of the next symbols, forward only."""
+        p = self.cut(flat)
+        embed, gates, out, out_b = p[0], [p[1 + 3 * i : 4 + 3 * i] for i in range(4)], p[-2], p[-1]
+        h, c, total = np.zeros((len(s), out.shape[0])), np.zeros((len(s), out.shape[0])), 0.0
+        for t in range(s.shape[1]):
+            a = [embed[s[:, t]] @ wx + h @ wh + b for wx, wh, b in gates]
+            i, f, o = (1 / (1 + np.exp(-v)) for v in (a[0], a[1] + 1, a[2]))
+            c = f * c + i * np.tanh(a[3])
+            h = o * np.tanh(c)
+            total += softmax_loss(h @ out + out_b, y[:, t])[0]
+        return total / s.shape[1]
+
+    def loss(self, flat, batch, mark=_unmarked):
         s, y = batch  # symbols and next symbols, (rows, steps)
         p = self.cut(flat)
         embed, gates, out, out_b = p[0], [p[1 + 3 * i : 4 + 3 * i] for i in range(4)], p[-2], p[-1]
@@ -115,6 +136,7 @@ class Recurrent(Net):
             hs.append(h)
         z = np.stack(hs, axis=1).reshape(-1, out.shape[0])
         nll, d = softmax_loss(z @ out + out_b, y.reshape(-1))
+        mark()
         g_out, g_out_b = z.T @ d, d.sum(axis=0)
         dz = (d @ out.T).reshape(rows, steps, -1)
         g_embed = np.zeros_like(embed)
@@ -157,10 +179,11 @@ class Recommender(Net):
         top = np.concatenate([product, x2], axis=1)
         return p, product, x0, x1, x2, top, (top @ p[8] + p[9])[:, 0]
 
-    def loss(self, flat, batch):
+    def loss(self, flat, batch, mark=_unmarked):
         u, i, y = batch
         p, product, x0, x1, x2, top, z = self._forward(flat, u, i)
         nll = np.mean(np.logaddexp(0, z) - y * z)
+        mark()
         d = ((1 / (1 + np.exp(-z)) - y) / len(y))[:, None]
         width = product.shape[1]
         g_out, g_out_b, dtop = top.T @ d, d.sum(axis=0), d @ p[8].T

@@ -1,113 +1,284 @@
-"""Training sets of the net workloads, made by DataFrame plans.
+"""Net workloads on whole tables: rows dealt to workers and batches.
 
-Each set is bounded by a documented number of rows, because a net replica
-trains on it inside one task; features are computed before that bound.
+A set is made by one pass over whole texts, or by joins, and written once,
+with a folder for each batch, so that an iteration reads its batch and nothing
+else. Gradients are computed by worker where the rows are: the batch of one
+worker is the group of one task. The model's parameters travel to the tasks;
+in data-parallel training every worker holds a replica, so they fit one.
 """
 
 from __future__ import annotations
 
-from dataclasses import dataclass
+import time
+from collections.abc import Callable, Iterator
+from dataclasses import dataclass, field, replace
 
 import numpy as np
+import pandas as pd
+import pyarrow as pa
+from pyspark import cloudpickle
+from pyspark.accumulators import Accumulator, AccumulatorParam
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from gradsift.sources import load
+from gradsift import schemas
+from gradsift.operators import shards
+from gradsift.operators.fragment import build_manifest
+from gradsift.sources import commit, load
 from gradsift.workloads.base_rates import candidates, purchases
 from gradsift.workloads.nets import Net, Perceptron, Recommender, Recurrent
 
-MOST_ROWS = 4000
 BUCKETS = 256
-HEAD = 500
 STEPS = 32
+NEGATIVES = 4
+#: A replica larger than this does not belong into one task.
+MOST_PARAMS = 50_000_000
+
+Arrays = tuple[np.ndarray, ...]
+
+
+class _Joined(AccumulatorParam):
+    def zero(self, value: list) -> list:
+        return []
+
+    def addInPlace(self, a: list, b: list) -> list:
+        a += b
+        return a
+
+
+def _matrix(table: pa.Table, name: str) -> np.ndarray:
+    column = table.column(name).combine_chunks()
+    return column.flatten().to_numpy(zero_copy_only=False).reshape(len(column), -1)
+
+
+def _vector(table: pa.Table, name: str) -> np.ndarray:
+    return table.column(name).to_numpy()
+
+
+def labelled(table: pa.Table) -> Arrays:
+    return _matrix(table, "x").astype(np.float64), _vector(table, "y")
+
+
+def symbols(table: pa.Table) -> Arrays:
+    s = _matrix(table, "s")
+    return s[:, :-1], s[:, 1:]
+
+
+def pairs(table: pa.Table) -> Arrays:
+    return _vector(table, "user"), _vector(table, "item"), _vector(table, "y")
+
+
+def right_classes(net: Net, flat: np.ndarray, table: pa.Table) -> tuple[float, int]:
+    x, y = labelled(table)
+    return float((net.predict(flat, x) == y).sum()), len(y)
+
+
+def symbol_loss(net: Net, flat: np.ndarray, table: pa.Table) -> tuple[float, int]:
+    s, y = symbols(table)
+    return net.nll(flat, s, y) * y.size, y.size
+
+
+def hits(net: Net, flat: np.ndarray, table: pa.Table) -> tuple[float, int]:
+    """Held-out items, the first of each list, among the ten best; ties count
+    against them."""
+    found = 0
+    for user, items in zip(table.column("user").to_pylist(), table.column("items").to_pylist(), strict=True):
+        score = net.score(flat, np.full(len(items), user), np.array(items))
+        found += int((score[1:] >= score[0]).sum() < 10)
+    return float(found), table.num_rows
 
 
 @dataclass(frozen=True)
-class TrainingSet:
-    """train: arrays with one row an example; test: what `measure` needs."""
+class NetWorkload:
+    """A net, its training rows (key, worker, batch and the net's columns) and
+    its held-out rows. clock, if given, collects (iteration, worker, phase,
+    ms) of the forward and backward passes."""
 
     net: Net
-    train: tuple[np.ndarray, ...]
-    test: tuple[np.ndarray, ...]
+    train: DataFrame
+    test: DataFrame
     metric: str
+    unpack: Callable[[pa.Table], Arrays]
+    judge: Callable[[Net, np.ndarray, pa.Table], tuple[float, int]]
+    n_workers: int = 1
+    batches: int = 1
+    seed: int = 42
+    clock: Accumulator | None = field(default=None, compare=False)
+
+    def dealt(self, n_workers: int, local_batch: int, seed: int = 42) -> NetWorkload:
+        """The set with its rows dealt to workers, and to batches of about
+        local_batch rows a worker."""
+        rows = self.train.count()
+        batches = max(1, round(rows / (n_workers * local_batch)))
+        train = shards.assign(self.train.drop("worker", "batch"), "key", n_workers)
+        train = shards.numbered(train, "key", batches, seed)
+        return replace(self, train=commit(train, "train", "batch"), n_workers=n_workers, batches=batches, seed=seed)
+
+    def timed(self, spark: SparkSession) -> NetWorkload:
+        return replace(self, clock=spark.sparkContext.accumulator([], _Joined()))
+
+    def manifest(self, spark: SparkSession) -> DataFrame:
+        return build_manifest(spark, self.net.sizes)
+
+    def init_params(self, spark: SparkSession) -> DataFrame:
+        flat = self.net.init(self.seed)
+        return spark.createDataFrame(pd.DataFrame({"param_idx": np.arange(len(flat)), "value": flat}), schemas.PARAMS)
 
-    def measure(self, flat: np.ndarray) -> float:
-        if self.metric == "accuracy":
-            x, y = self.test
-            return float((self.net.predict(flat, x) == y).mean())
-        if self.metric == "perplexity":
-            return float(np.exp(self.net.loss(flat, self.test)[0]))
-        u, items = self.test  # the held-out item is the first of each row
-        score = self.net.score(flat, np.repeat(u, items.shape[1]), items.reshape(-1)).reshape(items.shape)
-        # ties are counted against the held-out item, so equal scores are no hit
-        return float(((score[:, 1:] >= score[:, :1]).sum(axis=1) < 10).mean())
+    def replica(self, params: DataFrame) -> np.ndarray:
+        """The parameters as one array."""
+        if self.net.n_g > MOST_PARAMS:
+            raise ValueError("the model does not fit a worker")
+        rows = params.toArrow()
+        flat = np.zeros(self.net.n_g)
+        flat[rows.column("param_idx").to_numpy()] = rows.column("value").to_numpy()
+        return flat
 
+    def gradients(self, params: DataFrame, t: int) -> DataFrame:
+        """(worker, param_idx, v) of batch t, without zeros."""
+        by_value()
+        flat, net, unpack, clock = self.replica(params), self.net, self.unpack, self.clock
 
-def bigram_features(docs: DataFrame) -> DataFrame:
-    """(doc_id, lang, x): hashed character pairs of a text's head, of length 1."""
-    t = F.lower(F.substring("text", 1, HEAD))
-    pair = F.transform(F.sequence(F.lit(1), F.length("t") - 1), lambda i: F.substring(F.col("t"), i, F.lit(2)))
-    pairs = docs.select("doc_id", "lang", t.alias("t")).where("length(t) > 1").select("doc_id", "lang", F.explode(pair).alias("p"))
-    counts = pairs.groupBy("doc_id", "lang", F.pmod(F.xxhash64("p"), F.lit(BUCKETS)).alias("bucket")).agg(F.count("*").cast("double").alias("n"))
-    cells = counts.groupBy("doc_id", "lang").agg(F.map_from_entries(F.collect_list(F.struct("bucket", "n"))).alias("m"), F.sqrt(F.sum(F.col("n") * F.col("n"))).alias("norm"))
-    x = F.transform(F.sequence(F.lit(0), F.lit(BUCKETS - 1)), lambda b: F.coalesce(F.try_element_at("m", b.cast("long")), F.lit(0.0)) / F.col("norm"))
-    return cells.select("doc_id", "lang", x.alias("x"))
+        def run(key: tuple, table: pa.Table) -> pa.Table:
+            worker, laps = key[0].as_py(), [time.perf_counter()]
+            mark = lambda: laps.append(time.perf_counter())
+            _, g = net.loss(flat, unpack(table.sort_by("key")), mark)
+            mark()
+            if clock is not None:
+                clock.add([(t, worker, phase, 1000 * (b - a)) for phase, a, b in zip(("forward", "backward"), laps[:-1], laps[1:], strict=True)])
+            at = np.flatnonzero(g)
+            return pa.table({"worker": np.full(len(at), worker, np.int32), "param_idx": at, "v": g[at]})
 
+        rows = shards.batch_of(self.train, t, self.batches)
+        return rows.groupBy("worker").applyInArrow(run, schemas.GRADS)
 
-def _bounded(rows: DataFrame, key: str, most: int) -> DataFrame:
-    return rows.orderBy(F.xxhash64(key), key).limit(most)
+    def evaluate(self, params: DataFrame) -> DataFrame:
+        """(metric, value) over all held-out rows."""
+        by_value()
+        flat, net, judge = self.replica(params), self.net, self.judge
 
+        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            for batch in batches:
+                total, n = judge(net, flat, pa.Table.from_batches([batch]))
+                yield pa.RecordBatch.from_pydict({"total": [total], "n": [n]}, schema=pa.schema([("total", pa.float64()), ("n", pa.int64())]))
 
-def langid(spark: SparkSession, sf_dir: str, most: int = MOST_ROWS) -> TrainingSet:
-    docs = _bounded(load(spark, sf_dir, "documents"), "doc_id", most)
-    rows = sorted(bigram_features(docs).collect())
-    names = sorted({r["lang"] for r in rows})
-    x = np.array([r["x"] for r in rows])
-    y = np.array([names.index(r["lang"]) for r in rows])
-    test = np.array([r["doc_id"] % 5 == 4 for r in rows])
-    return TrainingSet(Perceptron((BUCKETS, 64, 64, len(names))), (x[~test], y[~test]), (x[test], y[test]), "accuracy")
+        sums = self.test.mapInArrow(run, "total double, n long").agg((F.sum("total") / F.sum("n")).alias("mean"))
+        value = F.exp("mean") if self.metric == "perplexity" else F.col("mean")
+        return sums.select(F.lit(self.metric).alias("metric"), value.alias("value"))
 
 
-def vectors(spark: SparkSession, sf_dir: str, most: int = MOST_ROWS) -> TrainingSet:
+def by_value() -> None:
+    """Send this library's functions to the workers by value."""
+    import gradsift
+
+    cloudpickle.register_pickle_by_value(gradsift)
+
+
+def _held(column: str):
+    return F.col(column) % 5 == 4
+
+
+def bigram_features(docs: DataFrame, buckets: int = BUCKETS) -> DataFrame:
+    """(key, lang, x): hashed pairs of neighbouring lower-cased characters of
+    the whole text, scaled to length 1; texts without a pair are all zero."""
+    by_value()
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            out = np.zeros((batch.num_rows, buckets), np.float32)
+            for i, t in enumerate(batch.column("text").to_pylist()):
+                c = np.frombuffer((t or "").lower().encode("utf-32-le"), np.uint32).astype(np.uint64)
+                h = (c[:-1] * np.uint64(0x9E3779B1) + c[1:]) * np.uint64(0x9E3779B97F4A7C15) >> np.uint64(32)
+                n = np.bincount((h % np.uint64(buckets)).astype(np.int64), minlength=buckets)
+                out[i] = n / max(np.sqrt(float(n @ n)), 1.0)
+            x = pa.ListArray.from_arrays(np.arange(0, out.size + 1, buckets, dtype=np.int32), pa.array(out.reshape(-1)))
+            yield pa.RecordBatch.from_arrays([batch.column("key"), batch.column("lang"), x], names=["key", "lang", "x"])
+
+    rows = docs.where("lang is not null").select(F.col("doc_id").alias("key"), "lang", "text")
+    return rows.mapInArrow(run, "key long, lang string, x array<float>")
+
+
+def langid(spark: SparkSession, sf_dir: str) -> NetWorkload:
+    """Which language a document is in. The languages are listed on the
+    driver; there are as many as classes of the net."""
+    docs = load(spark, sf_dir, "documents")
+    names = sorted(r["lang"] for r in docs.select("lang").where("lang is not null").distinct().collect())
+    y = F.array_position(F.array(*[F.lit(n) for n in names]), F.col("lang")) - 1
+    rows = commit(bigram_features(docs).select("key", "x", y.cast("long").alias("y")), "langid")
+    return NetWorkload(Perceptron((BUCKETS, 64, 64, len(names))), rows.where(~_held("key")), rows.where(_held("key")), "accuracy", labelled, right_classes)
+
+
+def vectors(spark: SparkSession, sf_dir: str) -> NetWorkload:
     """Embeddings: gradient shapes of a dense net; the labels are noise."""
-    rows = sorted(_bounded(load(spark, sf_dir, "embeddings"), "vec_id", most).collect())
-    x, y = np.array([r["embedding"] for r in rows]), np.array([r["label"] for r in rows])
-    test = np.arange(len(rows)) % 5 == 4
-    return TrainingSet(Perceptron((x.shape[1], 64, 64, 10)), (x[~test], y[~test]), (x[test], y[test]), "accuracy")
-
-
-def charlm(spark: SparkSession, sf_dir: str, most: int = 400, hidden: int = 64) -> TrainingSet:
-    """Windows of STEPS symbols and their successors."""
-    docs = _bounded(load(spark, sf_dir, "documents"), "doc_id", most)
-    rows = docs.select("doc_id", F.substring(F.lower("text"), 1, 4 * HEAD).alias("t")).orderBy("doc_id").collect()
-    known = sorted({c for r in rows if r["doc_id"] % 5 != 4 for c in r["t"]})
-    number = {c: i + 2 for i, c in enumerate(known)}  # 0: unknown, 1: boundary
-    windows: dict[bool, list[list[int]]] = {True: [], False: []}
-    for r in rows:
-        s = [1] + [number.get(c, 0) for c in r["t"]]
-        windows[r["doc_id"] % 5 == 4] += [s[i : i + STEPS + 1] for i in range(0, len(s) - STEPS, STEPS)]
-    cut = lambda held: (np.array(windows[held])[:, :-1], np.array(windows[held])[:, 1:])
-    test = cut(True)
-    return TrainingSet(Recurrent(len(known) + 2, 32, hidden), cut(False), (test[0][:400], test[1][:400]), "perplexity")
-
-
-def recommend(spark: SparkSession, sf_dir: str, most: int = 60_000, negatives: int = 4) -> TrainingSet:
-    """Bought pairs with drawn ones that were not bought."""
+    rows = load(spark, sf_dir, "embeddings").select(F.col("vec_id").alias("key"), F.col("embedding").alias("x"), F.col("label").cast("long").alias("y"))
+    got = rows.agg(F.max(F.size("x")).alias("width"), (F.max("y") + 1).alias("kinds")).first()
+    return NetWorkload(Perceptron((got["width"], 64, 64, got["kinds"])), rows.where(~_held("key")), rows.where(_held("key")), "accuracy", labelled, right_classes)
+
+
+def alphabet(docs: DataFrame) -> list[int]:
+    """Code points of the lower-cased texts: no more than there are."""
+    by_value()
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        seen: set[str] = set()
+        for batch in batches:
+            for t in batch.column("text").to_pylist():
+                seen |= set((t or "").lower())
+        yield pa.RecordBatch.from_pydict({"c": sorted(map(ord, seen))}, schema=pa.schema([("c", pa.int64())]))
+
+    return sorted(r["c"] for r in docs.select("text").mapInArrow(run, "c long").distinct().collect())
+
+
+def symbol_windows(docs: DataFrame, known: list[int], steps: int = STEPS) -> DataFrame:
+    """(key, doc_id, s): windows of steps + 1 symbols of whole texts, each
+    beginning with the last symbol of the one before, so that every symbol is
+    predicted once; 0 is an unknown symbol, 1 stands before a text and behind
+    it to the end of its last window."""
+    by_value()
+    codes = np.array(known)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for doc, t in zip(batch.column("doc_id").to_pylist(), batch.column("text").to_pylist(), strict=True):
+                c = np.frombuffer((t or "").lower().encode("utf-32-le"), np.uint32).astype(np.int64)
+                if not len(c):
+                    continue
+                place = np.minimum(np.searchsorted(codes, c), len(codes) - 1)
+                n = -(-len(c) // steps)
+                s = np.ones(n * steps + 1, np.int32)
+                s[1 : len(c) + 1] = np.where(codes[place] == c, place + 2, 0)
+                at = np.arange(n)[:, None] * steps + np.arange(steps + 1)
+                lists = pa.ListArray.from_arrays(np.arange(0, at.size + 1, steps + 1, dtype=np.int32), pa.array(s[at].reshape(-1)))
+                ids = pa.array(np.full(n, doc, np.int64))
+                yield pa.RecordBatch.from_arrays([ids, pa.array(np.arange(n)), lists], names=["doc_id", "at", "s"])
+
+    rows = docs.where("doc_id is not null").select("doc_id", "text").mapInArrow(run, "doc_id long, at long, s array<int>")
+    return rows.select(F.xxhash64("doc_id", "at").alias("key"), "doc_id", "s")
+
+
+def charlm(spark: SparkSession, sf_dir: str, hidden: int = 64) -> NetWorkload:
+    """Which character comes next."""
+    docs = load(spark, sf_dir, "documents")
+    known = alphabet(docs.where(~_held("doc_id")))
+    rows = commit(symbol_windows(docs, known), "charlm")
+    cut = lambda held: rows.where(held).select("key", "s")
+    return NetWorkload(Recurrent(len(known) + 2, 32, hidden), cut(~_held("doc_id")), cut(_held("doc_id")), "perplexity", symbols, symbol_loss)
+
+
+def recommend(spark: SparkSession, sf_dir: str) -> NetWorkload:
+    """Bought pairs against drawn ones that were not bought. A user is judged
+    on the candidates that it has, which can be fewer than 100 where there
+    are few items."""
     train, held = purchases(spark, sf_dir)
+    train = commit(train, "bought")
     users, items = load(spark, sf_dir, "customer").count(), load(spark, sf_dir, "part").count()
-    draw = F.explode(F.sequence(F.lit(0), F.lit(negatives - 1))).alias("j")
+    draw = F.explode(F.sequence(F.lit(0), F.lit(NEGATIVES - 1))).alias("j")
     drawn = train.select("user", "item", draw).select("user", F.pmod(F.xxhash64("user", "item", "j"), F.lit(items)).alias("item"))
     drawn = drawn.distinct().join(train, ["user", "item"], "left_anti")
     rows = train.withColumn("y", F.lit(1.0)).unionByName(drawn.withColumn("y", F.lit(0.0)))
-    got = rows.orderBy(F.xxhash64("user", "item"), "user", "item").limit(most * (negatives + 1)).collect()
-    pairs = np.array([(r["user"], r["item"]) for r in got])
-    lists: dict[int, list[int]] = {}
-    ranked = candidates(train, held, items).orderBy("user", F.desc("held_out"), "item")
-    for r in ranked.collect():
-        lists.setdefault(r["user"], []).append(r["item"])
-    full = {u: v for u, v in lists.items() if len(v) == 100}
-    test = np.array(list(full)), np.array(list(full.values()))
-    return TrainingSet(Recommender(users, items), (pairs[:, 0], pairs[:, 1], np.array([r["y"] for r in got])), test, "hit_rate")
+    first = F.array_sort(F.collect_list(F.struct((~F.col("held_out")).alias("other"), "item")))
+    test = candidates(train, held, items).groupBy("user").agg(F.transform(first, lambda c: c["item"]).alias("items"))
+    rows = commit(rows.select(F.xxhash64("user", "item").alias("key"), "user", "item", "y"), "pairs")
+    return NetWorkload(Recommender(users, items), rows, commit(test, "candidates"), "hit_rate", pairs, hits)
 
 
 SETS = {"langid": langid, "vectors": vectors, "charlm": charlm, "recommend": recommend}
