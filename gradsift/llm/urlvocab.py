@@ -19,8 +19,28 @@ from pyspark.sql import types as T
 
 #: Fixed values of the contract: verdict, host and path prefix of each rule.
 RULES = (("block", "com", "/en/"), ("allow", "example.com", "/en/7"), ("allow", "net", "/de/"), ("block", "example.net", "/de/8"), ("block", "org", "/es/"))
-STRICT = ("porn", "porno", "xxx", "sex", "hentai", "escort", "casino", "viagra", "cialis", "warez", "malware", "phishing", "adult")
-SOFT = ("free", "bet", "bets", "betting", "win", "bonus", "poker", "slots", "cheap", "pills", "pharma", "replica", "spam", "farm", "ads", "track", "click", "deal", "loan", "crypto", "nude", "dating")
+
+#: Terms in the four languages of the paths, without accents, as urls have
+#: them. Strict: words that hardly stand in the address of anything else.
+STRICT = (
+    # adult
+    *("porn", "porno", "pornos", "xxx", "sex", "sexe", "sexo", "sexcam", "hentai", "escort", "escorts", "camgirl", "camgirls", "adult", "milf", "nudes", "erotik", "erotique", "erotico", "nackt"),
+    # gambling
+    *("casino", "casinos", "kasino", "roulette", "baccarat", "blackjack", "spielothek", "sportwetten", "tragamonedas"),
+    # drugs sold without prescription
+    *("viagra", "cialis", "levitra", "tramadol", "xanax"),
+    # malware and stolen software
+    *("warez", "keygen", "keygens", "malware", "phishing", "ransomware"),
+)
+#: Soft: words that good addresses have too, but seldom several unlike ones.
+SOFT = (
+    *("free", "win", "bonus", "cheap", "deal", "track", "click", "ads", "spam", "farm", "replica", "prize", "winner"),
+    *("bet", "bets", "betting", "poker", "slots", "jackpot", "bingo", "lotto", "lottery"),
+    *("pills", "pharma", "loan", "payday", "crypto", "forex", "torrent", "torrents", "crack", "nude", "dating"),
+    *("gratis", "kostenlos", "billig", "gewinn", "gewinnspiel", "wetten", "kredit", "pillen", "werbung"),
+    *("gratuit", "gratuite", "gagner", "pari", "pilules", "rencontre", "rencontres", "publicite"),
+    *("apuestas", "ganar", "dinero", "premio", "barato", "pastillas", "prestamo", "citas", "anuncios"),
+)
 SOFT_LIMIT = 2
 
 VERDICT = T.StructType(

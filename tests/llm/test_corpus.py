@@ -609,6 +609,40 @@ def test_classifier_on_held_out_rows(spark):
     assert (p.argmax(axis=1)[800:] == kind[800:]).mean() > 0.95
 
 
+# -- long texts, repeated rows, clashing columns -----------------------------------------
+
+
+@pytest.mark.parametrize("name", ["ring", "secretscan", "superminhash", "phrases", "resample", "mixing"])
+def test_long_texts_and_repeated_rows(spark, name):
+    """A text of 200,000 words, one long word, and rows that are there twice,
+    in a table whose columns have the names of added ones."""
+    words = " ".join(f"w{i % 9000}" for i in range(200_000))
+    rows = [(i, t, f"s{i % 2}", 1, "x") for i, t in enumerate([words, "y" * 300_000, None, "", words + " z"])]
+    rows += rows
+    docs = spark.createDataFrame(rows, "doc_id long, text string, source string, n_words int, kept string")
+    labels = spark.createDataFrame([(0, 1, 0), (1, 0, 1)], "doc_id long, quality int, toxic int")
+    run = {
+        "ring": lambda: ring.assign(docs),
+        "secretscan": lambda: secretscan.scan(docs),
+        "superminhash": lambda: superminhash.groups(docs),
+        "phrases": lambda: phrases.cut_repeats(docs),
+        "resample": lambda: resample.resample(docs, labels, fraction=0.6),
+        "mixing": lambda: mixing.rates(docs, labels),
+    }[name]
+    got = run().collect()
+    assert len(got) == 10
+    by = defaultdict(list)
+    for r in got:
+        by[r.doc_id].append(tuple(v for c, v in r.asDict().items() if c not in ("slot", "shard", "kept")))
+    assert sorted(by) == [0, 1, 2, 3, 4] and all(a == b for a, b in by.values())
+    if name == "superminhash":
+        assert {r.doc_id: r.component_id for r in got} == {0: 0, 1: 1, 2: 2, 3: 3, 4: 0}
+    if name == "phrases":
+        assert {r.doc_id: (r.n_words, r.n_removed, r.source) for r in got}[4] == (200_001, 200_001, "s0")
+    if name == "resample":
+        assert sum(r.kept for r in got) == 6
+
+
 # -- pipeline ---------------------------------------------------------------------
 
 

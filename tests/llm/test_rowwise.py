@@ -246,6 +246,21 @@ def test_urls(spark):
     assert urlvocab.judge(pages.where("false")).count() == 0
 
 
+def test_terms_of_all_languages_between_boundaries(spark):
+    """One strict term or two unlike soft ones of any language block."""
+    urls = {"http://a.test/casinos": "block", "http://a.test/casinosx": "allow", "http://a.test/gratis/kredit": "block", "http://a.test/apuestas-dinero": "block", "http://a.test/gratuit/gratuit": "allow", "http://gagner.rencontres.test/": "block", "http://a.test/" + "free/" * 30_000: "allow"}
+    pages = spark.createDataFrame([(i, u, "v", 1) for i, u in enumerate([*urls, *urls])], "page_id long, url string, verdict string, host int")
+    got = urlvocab.judge(pages).collect()
+    assert len(got) == 2 * len(urls) and all(r.verdict == urls[r.url] for r in got)
+    assert not set(urlvocab.STRICT) & set(urlvocab.SOFT)
+
+
+def test_counting_replaces_clashing_columns(spark):
+    rows = spark.createDataFrame([(1, "a b", 99, "x")] * 2, "doc_id long, text string, n_tokens int, over_limit string")
+    got = prefixcount.token_counts(rows).collect()
+    assert len(got) == 2 and got[0] == got[1] and (got[0].n_bytes, got[0].over_limit) == (3, False)
+
+
 def test_words_in_parts_is_words_of():
     import numpy as np
 
