@@ -36,7 +36,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from gradsift.llm.textkit import ALNUM_WORDS, Measure, Words, annotate, per_process, select_rows, text_bytes, words_of
+from gradsift.llm.textkit import ALNUM_WORDS, Measure, Words, annotate, per_process, select_rows, text_bytes, words_in_parts, words_of
 
 WINDOW = 10
 BLOCK = 2
@@ -47,14 +47,19 @@ STRETCH = 512
 
 class Searcher:
     """Shift table and buckets of the test strings of one length, given by
-    their first words in w."""
+    their first words in w, in order; they are all windows of their items."""
 
     def __init__(self, w: Words, first: np.ndarray, length: int):
         self.w, self.length, self.block = w, length, min(BLOCK, length)
         self.most = length - self.block + 1
-        ends = first[:, None] + np.arange(self.most)
-        blocks = w.spans(ends.reshape(-1), ends.reshape(-1) + self.block)
-        steps = np.tile(np.arange(self.most - 1, -1, -1), len(first)).astype(np.int32)
+        # a block ends a window, or stands so near the start of an item that
+        # only the item's first window, which ends later, can hold it
+        tail = self.length - self.block
+        lead = first[np.concatenate([[True], np.diff(first) != 1])] if len(first) else first
+        early = (lead[:, None] + np.arange(tail)).reshape(-1)
+        at = np.concatenate([first + tail, early])
+        blocks = w.spans(at, at + self.block)
+        steps = np.concatenate([np.zeros(len(first), np.int32), np.tile(np.arange(tail, 0, -1, dtype=np.int32), len(lead))])
         order = np.lexsort((steps, blocks))
         blocks, steps = blocks[order], steps[order]
         least = np.ones(len(blocks), bool)
@@ -119,7 +124,7 @@ class Tables:
 
     def __init__(self, items: pa.Table, size: int):
         data, offsets = text_bytes(items.column("text"))
-        w = words_of(data, offsets, ALNUM_WORDS, lower=True)
+        w = words_in_parts(data, offsets, ALNUM_WORDS, lower=True)
         self.names = items.column("item").to_pylist()
         self.item = w.doc
         self.searchers = []
