@@ -1,6 +1,7 @@
 """Operators that judge each row: fertility, decontamination, counts, URLs."""
 
 import hashlib
+import math
 import random
 import re
 from collections import Counter
@@ -68,8 +69,13 @@ def test_fertility_rejects_outside_the_band_and_keeps_inside(spark):
     prose = " ".join(rng.choice("the house of my father stands near an old river where children play and people walk".split()) + rng.choice(["", "s", "ed"]) + str(i % 9) for i in range(120))
     rows = table(spark, ["", prose, "qzxvkj" * 400 + " " + " ".join("zq%dxk%d" % (i, i) for i in range(90))])
     tight = {"en": fertility.Band(50, 60, 0, 0)}
-    kept = {r.doc_id: r.kept for r in fertility.score(rows, keep=["doc_id"]).collect()}
+    # the band that this made-up prose, a digit on every word, lies within
+    wide = {"en": fertility.Band(1.7, 6.5, 0.05, 0.57)}
+    kept = {r.doc_id: r.kept for r in fertility.score(rows, languages=wide, keep=["doc_id"]).collect()}
     assert kept[1] and not kept[0]
+    spread = {r.doc_id: r.token_entropy for r in fertility.score(rows, keep=["doc_id"]).collect()}
+    edge = {"en": fertility.Band(2.3, 2.4, 0.05, spread[1] / math.log2(306) - 1e-6)}
+    assert fertility.score(rows, languages=edge, keep=["doc_id"]).where("kept").select("doc_id").collect()[0][0] == 1
     assert not any(r.kept for r in fertility.score(rows, languages=tight, scripts={"other": tight["en"], "latin": tight["en"]}, keep=["doc_id"]).collect())
 
 
