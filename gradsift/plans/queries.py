@@ -641,7 +641,7 @@ def _trained(experiment: str, iterations: int, *args) -> Query:
     return run
 
 
-def experiment_convergence(spark: SparkSession, sf_dir: str, iterations: int = 16) -> DataFrame:
+def experiment_convergence(spark: SparkSession, sf_dir: str, iterations: int = 12) -> DataFrame:
     """When each run on language identification comes near the dense one."""
     from gradsift.plans import experiments
 
@@ -662,7 +662,7 @@ def experiment_breakdown(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Milliseconds by phase on the language model, mean of four seeds."""
     from gradsift.plans import experiments
 
-    got = experiments.breakdown(spark, sf_dir, iterations=2)
+    got = experiments.breakdown(spark, sf_dir, iterations=1)
     return got.select("sparsifier", "phase", F.round("ms", 3).alias("ms"), F.round("partition_share", 5).alias("partition_share"))
 
 
@@ -676,7 +676,7 @@ def experiment_speedup_by_n(spark: SparkSession, sf_dir: str) -> DataFrame:
 #: Experiment queries, over whole tables; gradsift.plans.experiments runs them
 #: at any length.
 TRAINED: dict[str, Query] = {
-    "experiment_langid": _trained("compare", 8, "langid"),
+    "experiment_langid": _trained("compare", 6, "langid"),
     "experiment_charlm": _trained("compare", 6, "charlm"),
     "experiment_recommend": _trained("compare", 5, "recommend"),
     "experiment_vectors": _trained("compare", 4, "vectors"),
