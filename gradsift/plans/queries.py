@@ -4,9 +4,11 @@ from __future__ import annotations
 
 import math
 from collections.abc import Callable
+from concurrent.futures import ThreadPoolExecutor
 from dataclasses import replace
-from functools import cached_property
+from functools import cached_property, reduce
 
+from pyspark import inheritable_thread_target
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
@@ -264,11 +266,12 @@ def local_error_after_1(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def _by_n(one: Callable[[int], DataFrame], sweep: tuple[int, ...] = SWEEP) -> DataFrame:
-    out = None
-    for n in sweep:
-        rows = one(n).select(F.lit(n).alias("n"), "*")
-        out = rows if out is None else out.unionByName(rows)
-    return out
+    """The rows of every n. What each n writes on the way is small, so the
+    plans are driven side by side."""
+    run = inheritable_thread_target(SparkSession.active())(one)
+    with ThreadPoolExecutor(len(sweep)) as pool:
+        found = list(pool.map(run, sweep))
+    return reduce(DataFrame.unionByName, [rows.select(F.lit(n).alias("n"), "*") for n, rows in zip(sweep, found, strict=True)])
 
 
 @query
