@@ -423,6 +423,30 @@ def test_phrases_are_confirmed_by_their_words(spark, monkeypatch):
     assert got == [n for _, n, _ in cut_by_hand(texts)]
 
 
+def test_phrases_do_not_hang_on_the_order_of_a_block():
+    """Rows of a block arrive in any order, in each step in another one."""
+    import pyarrow as pa
+
+    rng = random.Random(11)
+    line = lambda n: " ".join(f"w{rng.randrange(900)}" for _ in range(n))
+    shared = line(60)
+    texts = [None, "", *[line(50) for _ in range(9)], line(7) + " " + shared, shared + " " + line(11), line(90)]
+    texts += [texts[-1]]
+    key = (pa.scalar(0, pa.int32()),)
+
+    def rows():
+        order = rng.sample(range(len(texts)), len(texts))
+        return pa.table({"c0": order, "text": pa.array([texts[i] for i in order], pa.string())})
+
+    for _ in range(5):
+        suspected = phrases._phrases(35, 12)(key, rows())
+        recurring = phrases._texts(35, 12)(key, rows(), suspected)
+        candidates = phrases._candidates(35, 12)(key, rows(), recurring)
+        confirmed = candidates.filter(pa.array([n > 1 for n in candidates.column("n").to_pylist()], pa.bool_()))
+        got = phrases._cut(35, ["c0"], False)(key, rows(), confirmed).sort_by("c0").to_pylist()
+        assert [(r["n_words"], r["n_removed"], r["kept_sha256"]) for r in got] == cut_by_hand(texts)
+
+
 def test_phrases_of_an_empty_table(spark):
     assert phrases.cut_repeats(table(spark, [])).count() == 0
 
