@@ -43,7 +43,7 @@ from pyspark.sql import types as T
 
 from gradsift.llm import domains
 from gradsift.llm.shared import written
-from gradsift.llm.textkit import annotate, select_rows
+from gradsift.llm.textkit import SMALL_CHUNK_BYTES, annotate, select_rows
 
 #: Domains in order of their numbers, and the shares of tokens to aim at.
 DOMAINS = ("clean", "low", "toxic")
@@ -72,7 +72,7 @@ def membership(docs: DataFrame, model: tuple[np.ndarray, np.ndarray], key: str,
         p = np.round(domains.posteriors(feature, doc, len(w.counts), *model), 9)
         return {"n_tokens": w.counts} | {f"p_{d}": p[:, k] for k, d in enumerate(DOMAINS)}
 
-    return annotate(docs.select(F.col(key).alias("id"), F.col(text).alias("text")), "text", added, lambda: measure, ["id"])
+    return annotate(docs.select(F.col(key).alias("id"), F.col(text).alias("text")), "text", added, lambda: measure, ["id"], limit=SMALL_CHUNK_BYTES)
 
 
 def rate_of(history: list[list[float]], most: float | None = None) -> Column:

@@ -57,6 +57,8 @@ PART_SETS = 512
 PART_BYTES = 16 << 20
 #: Sets up to which a shingle's pairs are counted one by one.
 FEW = 24
+#: Pairs that are counted at once.
+PAIRS = 1 << 20
 
 NULL_ID = -(1 << 63)
 TOP = np.uint64((1 << 56) - 1)
@@ -182,8 +184,9 @@ def overlaps(sets: list[np.ndarray]) -> np.ndarray:
     out = np.zeros(n * n, np.int64)
     for size in range(2, FEW + 1):
         at = first[times == size]
-        if len(at):
-            who = owner[at[:, None] + np.arange(size)]
+        step = max(1, PAIRS // (size * size))
+        for lo in range(0, len(at), step):
+            who = owner[at[lo : lo + step, None] + np.arange(size)]
             out += np.bincount((who[:, :, None] * n + who[:, None, :]).reshape(-1), minlength=n * n)
     out = out.reshape(n, n)
     many = np.flatnonzero(times > FEW)

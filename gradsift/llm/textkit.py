@@ -21,6 +21,9 @@ from pyspark.sql import DataFrame
 from pyspark.sql import types as T
 
 CHUNK_BYTES = 2 << 20
+#: Where many steps follow each other in one Python process, or features are
+#: sorted: scratch of a chunk is some sixty times its text.
+SMALL_CHUNK_BYTES = 1 << 19
 
 
 def _class(excluded: list[int]) -> np.ndarray:
@@ -239,11 +242,12 @@ def annotate(docs: DataFrame, text: str, added: T.StructType, start: Callable[[]
 
 def select_rows(docs: DataFrame, text: str, start: Callable[[], Callable[[pa.RecordBatch, np.ndarray, np.ndarray], np.ndarray]]) -> DataFrame:
     """Keep the rows for which the measure is true, all columns unchanged."""
+    limit = SMALL_CHUNK_BYTES
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         decide = start()
         for batch in batches:
-            for part, data, offsets in chunks(batch, text):
+            for part, data, offsets in chunks(batch, text, limit):
                 yield part.filter(pa.array(np.asarray(decide(part, data, offsets), bool)))
 
     return docs.mapInArrow(run, docs.schema)

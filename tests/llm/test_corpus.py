@@ -360,6 +360,23 @@ def test_pipeline_takes_copies_from_four_fifths(spark):
     assert [r.doc_id for r in corpus_pipeline.near_duplicates(spark, docs, "").collect()] == [0]
 
 
+def test_comparison_of_long_sets_is_bounded_in_memory():
+    """Shingles of few sets each, but a great many of them."""
+    import tracemalloc
+
+    import numpy as np
+
+    rng = np.random.default_rng(4)
+    pool = np.unique(rng.integers(0, 1 << 63, 30_000).astype(np.uint64))
+    sets = [pool[i * 5 :] for i in range(24)]
+    tracemalloc.start()
+    got = superminhash.overlaps(sets)
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert all(got[i, j] == len(pool) - 5 * max(i, j) for i in range(24) for j in range(24) if i != j)
+    assert peak < 100 << 20
+
+
 # -- phrases ----------------------------------------------------------------------
 
 
@@ -670,6 +687,15 @@ def test_long_texts_and_repeated_rows(spark, name):
 # -- pipeline ---------------------------------------------------------------------
 
 
+def test_stages_work_on_small_pieces_of_a_batch(spark):
+    """The scratch of a stage is a multiple of its piece, and stages add up."""
+    from gradsift.llm.textkit import select_rows
+
+    texts = [f"{i} " + "word " * 4000 for i in range(200)]
+    got = select_rows(table(spark, texts), "text", lambda: lambda part, data, offsets: [len(data) <= 1 << 19] * (len(offsets) - 1))
+    assert sorted(r.doc_id for r in got.collect()) == list(range(200))
+
+
 def test_pipeline_stages(spark, sf):
     import corpus_pipeline
 
